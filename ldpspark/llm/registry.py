@@ -1,9 +1,11 @@
 """Queries of the training-data operators, by name, and their SQL where it can express them."""
 
-from . import decontaminate, mixing, near_dedup, token_output, url_filter
+from . import decontaminate, language_id, mixing, near_dedup, token_output, toxicity, url_filter
 
 QUERIES = {
     "op4_token_output": token_output.op4_token_output,
+    "op5_toxicity": toxicity.op5_toxicity,
+    "op6_language_id": language_id.op6_language_id,
     "op7_minhash": near_dedup.op7_minhash,
     "op8_mixing": mixing.op8_mixing,
     "op9_decontamination": decontaminate.op9_decontamination,
