@@ -10,10 +10,12 @@ the fewest sketches hold: only those enter the inverted lists. Values that many
 are last in that order and drop out; values of one class fill places without making a list.
 
 Lists make links in two rounds. First the most central class of each list (largest product of its values' list sizes)
-is paired with all others, which joins groups of copies by a linear number of pairs. Then all pairs within a list that
-the first round has left in different components are formed, each pair in its first common list only, and only if their
-sketches pass: none is left out. Pairs pass if the bottom-k sketch of the union shows enough common values and the sizes
-allow the similarity; then the full sets, built anew from both texts, decide.
+is paired with all others; pairs whose sizes allow the similarity and whose bottom-k sketch of the union shows enough
+common values are decided on the full sets, built anew from both texts. This joins groups of copies by a linear number
+of pairs. Where a list's classes are then still in different components, they are compared with each other: all lists
+with the same central class form one group (so a class is in few groups, not in one for each value), a group is dealt
+out in pairs of blocks of bounded size, and a task finds all intersections of its two blocks' full sets by a product of
+their incidence matrices. It returns links that join components, a forest, not the pairs. No pair of a list is left out.
 
 Defined results: null texts and texts without words have an empty set and are linked with nothing; rows with equal ids
 are kept apart by their texts; a null id is left out of the least id of a component (a component of null ids has none).
@@ -35,6 +37,8 @@ from . import common as C
 from .components import components
 
 K, MISS = 40, 1e-10
+#: Classes and values of a block, columns of an incidence matrix at a time.
+BLOCK, BLOCK_VALUES, COLUMNS = 512, 400_000, 4096
 KEPT_WORDS = 1_000_000
 M1, M2, M3 = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB)
 
@@ -152,6 +156,70 @@ def _verified(docs: DataFrame, pairs: DataFrame, *, id_col: str, text_col: str,
     return joined.mapInArrow(step, "a binary, b binary")
 
 
+def _compared(
+    docs: DataFrame, starred: DataFrame, narrow: DataFrame, joined: DataFrame, *, id_col: str, text_col: str, width: int, num: int, den: int
+) -> DataFrame:
+    """Links (a, b) between the components of ``joined`` within each central class's group."""
+    member = starred.select(F.col("ca").alias("hub"), F.col("cb").alias("cls")).union(starred.select("ca", "ca").distinct())
+    member = member.join(narrow.select("cls", "id", "th", "n"), "cls").join(joined.withColumnRenamed("node", "cls"), "cls", "left")
+    member = C.stored(member.withColumn("label", F.coalesce("label", "cls")), "members")
+    group = member.groupBy("hub").agg(F.count("*").alias("size"), F.max("n").alias("most"), (F.min("label") != F.max("label")).alias("open"))
+    # two classes are compared already; blocks hold at most BLOCK classes and about BLOCK_VALUES values
+    group = group.filter("open and size > 2").withColumn("blocks", F.ceil(F.col("size") / F.greatest(F.lit(8), F.least(F.lit(BLOCK), F.floor(F.lit(BLOCK_VALUES) / F.col("most"))))).cast("int"))
+    member = C.stored(member.join(group.select("hub", "blocks"), "hub"), "open")
+    ends = C.small(C.stored(member.select("cls", "id", "th").distinct(), "ends"))
+    rows = docs.select(F.col(id_col).alias("d_id"), F.xxhash64(text_col).alias("d_th"), F.col(text_col).alias("text"))
+    texts = rows.join(ends, (F.col("d_th") == F.col("th")) & F.col("d_id").eqNullSafe(F.col("id"))).groupBy("cls").agg(F.first("text").alias("text"))
+    own = F.pmod(F.xxhash64("cls"), F.col("blocks")).cast("int")
+    dealt = member.join(texts, "cls").select("hub", "cls", "label", "text", own.alias("own"), F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("other"))
+    dealt = dealt.select("hub", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "cls", "label", "text", "own")
+
+    def step(task: pa.Table) -> pa.Table:
+        sets = [shingle_set(t, width) for t in C.binary_list(task.column("text").combine_chunks())]
+        cls, label = task.column("cls").to_pylist(), np.unique(np.array(task.column("label").to_pylist(), object), return_inverse=True)[1]
+        links = joining(sets, label, np.array(task.column("own").to_pylist()), num, den)
+        return pa.table({"a": pa.array([cls[x] for x, _ in links], pa.binary()), "b": pa.array([cls[y] for _, y in links], pa.binary())})
+
+    return dealt.groupBy("hub", "i", "j").applyInArrow(step, "a binary, b binary").distinct()
+
+
+def joining(sets: list[np.ndarray], label: np.ndarray, block: np.ndarray, num: int, den: int) -> list[tuple[int, int]]:
+    """A forest of similar pairs that joins the labels. Sets of two blocks are compared across, those of one within."""
+    blocks = np.unique(block)
+    left, right = np.flatnonzero(block == blocks[0]), np.flatnonzero(block == blocks[-1])
+    size = np.array([len(x) for x in sets], np.int64)
+    flat, owner = np.concatenate(sets), np.repeat(np.arange(len(sets)), size)
+    _, value, held = np.unique(flat, return_inverse=True, return_counts=True)
+    shared = held[value] > 1
+    number = np.cumsum(held > 1) - 1
+    value, owner = number[value[shared]], owner[shared]
+    order = np.argsort(value, kind="stable")
+    value, owner = value[order], owner[order]
+    common = np.zeros((len(left), len(right)), np.float32)
+    for lo in range(0, int(number[-1]) + 1 if len(number) else 0, COLUMNS):
+        part = slice(*np.searchsorted(value, [lo, lo + COLUMNS]))
+        m = np.zeros((len(sets), COLUMNS), np.float32)
+        m[owner[part], value[part] - lo] = 1
+        common += m[left] @ m[right].T
+    common = common.astype(np.int64)
+    union = size[left][:, None] + size[right][None, :] - common
+    x, y = np.nonzero((den * common >= num * union) & (label[left][:, None] != label[right][None, :]))
+    root: dict[int, int] = {}
+
+    def find(k: int) -> int:
+        while root.setdefault(k, k) != k:
+            root[k] = k = root[root[k]]
+        return k
+
+    out = []
+    for a, b in zip(left[x].tolist(), right[y].tolist(), strict=True):
+        p, q = find(int(label[a])), find(int(label[b]))
+        if p != q:
+            root[p] = q
+            out.append((a, b))
+    return out
+
+
 def near_duplicates(
     docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", width: int = 5, similarity: tuple[int, int] = (80, 100), k: int = K
 ) -> DataFrame:
@@ -166,6 +234,7 @@ def near_duplicates(
     lists = listed.select("cls", "central", F.explode("prefix").alias("v"))
     hubs = lists.groupBy("v").agg(F.max(F.struct("central", "cls")).alias("hub"), F.count("*").alias("size")).filter("size > 1")
     starred = lists.join(hubs, "v").filter(F.col("cls") != F.col("hub.cls")).select(F.col("hub.cls").alias("ca"), F.col("cls").alias("cb")).distinct()
+    starred = C.stored(starred, "starred")
     picked = [F.col(f"{x}.{y}").alias(x + z) for x in "ab" for y, z in (("cls", ""), ("id", "_id"), ("th", "_th"))]
     narrow = listed.select("cls", "id", "th", "n", "sketch")
     pairs = starred.join(narrow.alias("a"), F.col("ca") == F.col("a.cls")).join(narrow.alias("b"), F.col("cb") == F.col("b.cls")).filter(match).select(*picked)
@@ -173,17 +242,9 @@ def near_duplicates(
     links = C.stored(_verified(docs, pairs, **o, num=num, den=den), "similar")
     joined = C.stored(components(links), "components")
 
-    label = F.coalesce("label", "cls").alias("label")
-    held = listed.join(joined.withColumnRenamed("node", "cls"), "cls", "left").select("cls", "id", "th", "n", "sketch", "prefix", label, F.explode("prefix").alias("v"))
-    mixed = held.groupBy("v").agg(F.min("label").alias("lo"), F.max("label").alias("hi")).filter("lo <> hi").select("v")
-    held = held.join(mixed, "v", "left_semi")
-    first = F.element_at(F.array_intersect("a.prefix", "b.prefix"), 1) == F.col("a.v")
-    rest = held.alias("a").join(held.alias("b"), (F.col("a.v") == F.col("b.v")) & (F.col("a.label") < F.col("b.label")) & first & match).select(*picked)
-    done = pairs.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b"))
-    rest = C.stored(rest.withColumns({"x": F.greatest("a", "b"), "y": F.least("a", "b")}).join(done.select(F.col("a").alias("x"), F.col("b").alias("y")), ["x", "y"], "left_anti").drop("x", "y"), "rest")
-    if rest.limit(1).count():
-        links = links.union(_verified(docs, rest, **o, num=num, den=den))
-        joined = C.stored(components(links), "components")
+    more = C.stored(_compared(docs, starred, narrow, joined, **o, num=num, den=den), "joining")
+    if more.limit(1).count():
+        joined = C.stored(components(links.union(more)), "components")
 
     members = joined.join(classes.select(F.col("cls").alias("node"), "least"), "node")
     leasts = members.groupBy("label").agg(F.min("least").alias("component"))

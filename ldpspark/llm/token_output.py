@@ -10,8 +10,8 @@ bits a token, four tokens a byte, lowest bits first: length of its rank in bytes
 of an id is its place in the block's own table, so a block needs one pass over the texts and decodes alone.
 Decoding looks each control byte up in a table of its four lengths, sums lengths to offsets and gathers bytes.
 
-White space is dropped by the tokenizers that this serves and splits their pieces, so a text is encoded run by run, each
-distinct run once; ``runs=False`` encodes whole texts, for tokenizers where that doesn't hold.
+Ids are those of the tokenizers library. Where a tokenizer splits texts as :class:`Pieces` does, each distinct piece is
+merged once for as long as it is kept; other texts (beyond Latin-1, or naming special tokens) and tokenizers go whole.
 
 Defined results: null texts are empty; every document gets the end id; null ids come first; equal ids stand in order of
 their texts; an empty table gives no blocks and no rows.
@@ -19,20 +19,26 @@ their texts; an empty table gives no blocks and no rows.
 
 from __future__ import annotations
 
+import json
+import os
+import re
 import struct
+import unicodedata
 import zlib
 from collections.abc import Iterator
+from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import common as C
 
 MAGIC, HEAD = b"TIB1", struct.Struct("<4sQQQQ")
-BLOCK_TOKENS = 1 << 20
-KEPT_RUNS = 300_000
+BLOCK_TOKENS, CHUNK_BYTES = 1 << 20, 1 << 20
+KEPT_PIECES = 400_000
 #: Lengths in bytes of the four tokens of each control byte.
 LENGTHS = np.array([[(c >> s & 3) + 1 for s in (0, 2, 4, 6)] for c in range(256)], np.int64)
 
@@ -81,64 +87,129 @@ def decode_block(block: bytes) -> tuple[np.ndarray, np.ndarray]:
     return counts, table[ranks] if tokens else np.zeros(0, np.uint32)
 
 
+#: The normalisation and splitting that :class:`Pieces` repeats for Latin-1 texts; fixed values of the tokenizer's format.
+KNOWN_NORMALIZER = ["NFC", "Replace", "Lowercase"]
+KNOWN_PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
+
+
+class Pieces:
+    """Splits a Latin-1 text into the tokenizer's own pieces: lower case, letters, single digits, other marks."""
+
+    def __init__(self) -> None:
+        kind = [unicodedata.category(chr(i))[0] for i in range(256)]
+        space = b" \t\n\r\x0b\x0c\x85\xa0"
+        letters, numbers = (b"".join(re.escape(bytes([i])) for i in range(256) if kind[i] == k) for k in "LN")
+        self.find = re.compile(b"'s|'t|'re|'ve|'m|'ll|'d|[" + letters + b"]+|[" + numbers + b"]|[^" + re.escape(space) + letters + numbers + b"]+").findall
+        self.lower = bytes(ord(c) if len(c := chr(i).lower()) == 1 and ord(c) < 256 else i for i in range(256))
+
+    def __call__(self, text: str) -> list[bytes] | None:
+        """None: the text has other characters, or may name a special token."""
+        try:
+            raw = text.encode("latin-1")
+        except UnicodeEncodeError:
+            return None
+        return None if b"<|" in raw else self.find(raw.translate(self.lower))
+
+
+def byte_letters() -> dict[int, str]:
+    """The printable letter of each byte that byte-level vocabularies use."""
+    own = [*range(33, 127), *range(161, 173), *range(174, 256)]
+    rest = [i for i in range(256) if i not in own]
+    return {i: chr(i) for i in own} | {i: chr(256 + k) for k, i in enumerate(rest)}
+
+
 class Encoder:
-    """Ids of texts, each distinct run without blanks being tokenised once while it is kept."""
+    """Ids of texts as the tokenizer gives them; where its way of splitting is known, each distinct piece is merged once.
+
+    A second tokenizer without normalisation merges new pieces, many joined by blanks at a time: the mark of a word's
+    end, which every piece's last id carries, tells where each piece's ids stop.
+    """
 
-    def __init__(self, path: str, end_id: int | None, runs: bool = True):
+    def __init__(self, path: str, end_id: int | None):
+        os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
-        self.tokenizer, self.end, self.by_run = Tokenizer.from_file(path), end_id, runs
+        with open(path, encoding="utf-8") as f:
+            made = json.load(f)
+        self.tokenizer, self.end = Tokenizer.from_file(path), end_id
+        kinds = [x.get("type") for x in (made.get("normalizer") or {}).get("normalizers", [])]
+        splits = [x.get("pattern", {}).get("Regex") for x in (made.get("pre_tokenizer") or {}).get("pretokenizers", [])]
+        model, suffix = made["model"], made["model"].get("end_of_word_suffix")
+        self.pieces = Pieces() if kinds == KNOWN_NORMALIZER and splits[:1] == [KNOWN_PATTERN] and suffix and not model.get("dropout") else None
+        if self.pieces:
+            self.merger = Tokenizer.from_str(json.dumps(made | {"normalizer": None, "pre_tokenizer": {"type": "WhitespaceSplit"}, "post_processor": None, "added_tokens": []}))
+            self.ends = np.zeros(max(model["vocab"].values()) + 1, bool)
+            self.ends[[i for t, i in model["vocab"].items() if t.endswith(suffix)]] = True
+            self.letters = byte_letters()
+            del self.letters[32]
         self._clear()
 
     def _clear(self) -> None:
-        self.number: dict[str, int] = {}
-        self.size = np.zeros(0, np.int64)
-        self.first = np.zeros(0, np.int64)
-        self.flat = np.zeros(0, np.uint32)
-
-    def _learn(self, new: list[str]) -> None:
-        found = [np.array(e.ids, np.uint32) for e in self.tokenizer.encode_batch(new, add_special_tokens=False)]
-        size = np.array([len(x) for x in found], np.int64)
-        for run in new:
-            self.number[run] = len(self.number)
-        self.first = np.concatenate([self.first, len(self.flat) + np.cumsum(size) - size])
-        self.size = np.concatenate([self.size, size])
-        self.flat = np.concatenate([self.flat, *found])
+        self.number: dict[bytes, int] = {}
+        self.size, self.first, self.flat = np.zeros(1 << 16, np.int32), np.zeros(1 << 16, np.int64), np.zeros(1 << 18, np.uint16 if self._narrow() else np.uint32)
+        self.used = 0
+
+    def _narrow(self) -> bool:
+        return self.tokenizer.get_vocab_size() <= 1 << 16
+
+    def _learn(self, new: list[bytes]) -> None:
+        for lo in range(0, len(new), 4000):
+            part = new[lo : lo + 4000]
+            text = b" ".join(part).decode("latin-1").encode().decode("latin-1").translate(self.letters)
+            ids = np.array(self.merger.encode_batch_fast([text], add_special_tokens=False)[0].ids, np.uint32)
+            stop = np.flatnonzero(self.ends[ids]) + 1
+            if len(stop) != len(part):
+                raise ValueError("pieces without a word end")
+            n = len(self.number)
+            while n + len(part) > len(self.size):
+                self.size, self.first = np.concatenate([self.size, np.zeros_like(self.size)]), np.concatenate([self.first, np.zeros_like(self.first)])
+            while self.used + len(ids) > len(self.flat):
+                self.flat = np.concatenate([self.flat, np.zeros_like(self.flat)])
+            self.flat[self.used : self.used + len(ids)] = ids
+            self.size[n : n + len(part)] = np.diff(stop, prepend=0)
+            self.first[n : n + len(part)] = self.used + np.concatenate(([0], stop[:-1]))
+            self.used += len(ids)
+            self.number.update(zip(part, range(n, n + len(part)), strict=True))
 
     def __call__(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
-        """Token counts with the end id, and all ids."""
-        if not self.by_run:
-            found = [e.ids + [self.end] * (self.end is not None) for e in self.tokenizer.encode_batch(texts, add_special_tokens=False)]
-            return np.array([len(x) for x in found], np.int64), np.array([i for x in found for i in x], np.uint32)
-        if len(self.number) > KEPT_RUNS:
+        """Token counts with the end id, and all ids, of a chunk of texts."""
+        split = [self.pieces(t) if self.pieces else None for t in texts]
+        whole = [k for k, x in enumerate(split) if x is None]
+        ready = {k: np.array(e.ids, np.uint32) for k, e in zip(whole, self.tokenizer.encode_batch_fast([texts[k] for k in whole], add_special_tokens=False), strict=True)} if whole else {}
+        if len(self.number) > KEPT_PIECES:
             self._clear()
-        runs, words = [], []
-        for t in texts:
-            own = t.replace("\n", " ").replace("\t", " ").replace("\r", " ").split(" ")
-            runs.append(len(own))
-            words += own
+        words = [w for x in split if x for w in x]
         get = self.number.get
         numbers = list(map(get, words))
         if None in numbers:
-            new = list(dict.fromkeys(w for w, n in zip(words, numbers, strict=True) if n is None))
-            self._learn(new)
+            self._learn(list(dict.fromkeys(w for w, n in zip(words, numbers, strict=True) if n is None)))
             numbers = list(map(get, words))
         n = np.array(numbers, np.int64)
-        size = self.size[n]
-        doc_end = np.cumsum(runs)
+        size = self.size[n].astype(np.int64)
         total = np.concatenate(([0], np.cumsum(size)))
-        counts = total[doc_end] - total[doc_end - runs]
-        # gather all runs' ids: position in the flat store = first of the run + place within it
-        ids = self.flat[np.repeat(self.first[n] - total[:-1], size) + np.arange(total[-1])]
-        if self.end is not None:
-            ids = np.insert(ids, total[doc_end], np.uint32(self.end))
-            counts = counts + 1
-        return counts, ids
+        # gather all pieces' ids: place in the flat store = first of the piece + place within it
+        ids = self.flat[np.repeat(self.first[n] - total[:-1], size) + np.arange(total[-1])].astype(np.uint32)
+        stop = total[np.cumsum([len(x) if x else 0 for x in split])]
+        if not ready and self.end is None:
+            return np.diff(stop, prepend=0), ids
+        if not ready:
+            return np.diff(stop, prepend=0) + 1, np.insert(ids, stop, np.uint32(self.end))
+        out, at = [], 0
+        for k, e in enumerate(stop.tolist()):
+            own = ready.get(k, ids[at:e])
+            at = e
+            out.append(own if self.end is None else np.append(own, np.uint32(self.end)))
+        return np.array([len(x) for x in out], np.int64), np.concatenate(out) if out else ids
+
+
+@lru_cache(maxsize=2)
+def encoder(path: str, end_id: int | None) -> Encoder:
+    """One for all tasks of a worker."""
+    return Encoder(path, end_id)
 
 
 def encode(
-    docs: DataFrame, tokenizer: str, *, end_id: int | None = 2, id_col: str = "doc_id", text_col: str = "text", runs: bool = True,
-    block_tokens: int = BLOCK_TOKENS,
+    docs: DataFrame, tokenizer: str, *, end_id: int | None = 2, id_col: str = "doc_id", text_col: str = "text", block_tokens: int = BLOCK_TOKENS,
 ) -> DataFrame:
     """Blocks in ascending id order: part, part_start, block, ids (of the documents), payload. Store it, then ``decode``.
 
@@ -151,7 +222,7 @@ def encode(
     def step(stream: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
 
-        part, encoder = TaskContext.get().partitionId(), Encoder(tokenizer, end_id, runs)
+        part, encoding = TaskContext.get().partitionId(), encoder(tokenizer, end_id)
         held: list[tuple[list, np.ndarray, np.ndarray]] = []
         size = before = number = 0
 
@@ -167,8 +238,8 @@ def encode(
         for batch in stream:
             schema = schema or pa.schema([("part", pa.int32()), ("part_start", pa.int64()), ("block", pa.int32()), ("tokens", pa.int64()), ("ids", pa.list_(batch.schema.field(0).type)), ("payload", pa.binary())])
             ids, texts = batch.column(0).to_pylist(), batch.column(1)
-            for lo, hi in chunks(pa.compute.binary_length(texts).to_numpy(zero_copy_only=False), block_tokens):
-                counts, tokens = encoder(texts.slice(lo, hi - lo).to_pylist())
+            for lo, hi in chunks(pc.binary_length(texts).to_numpy(zero_copy_only=False), CHUNK_BYTES):
+                counts, tokens = encoding(texts.slice(lo, hi - lo).to_pylist())
                 held.append((ids[lo:hi], counts, tokens))
                 size += len(tokens)
                 if size >= block_tokens:
