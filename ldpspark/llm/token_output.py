@@ -27,6 +27,7 @@ import unicodedata
 import zlib
 from collections.abc import Iterator
 from functools import lru_cache
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
@@ -99,7 +100,7 @@ class Pieces:
         kind = [unicodedata.category(chr(i))[0] for i in range(256)]
         space = b" \t\n\r\x0b\x0c\x85\xa0"
         letters, numbers = (b"".join(re.escape(bytes([i])) for i in range(256) if kind[i] == k) for k in "LN")
-        self.find = re.compile(b"'s|'t|'re|'ve|'m|'ll|'d|[" + letters + b"]+|[" + numbers + b"]|[^" + re.escape(space) + letters + numbers + b"]+").findall
+        self.find = re.compile(b"[" + letters + b"]+|[" + numbers + b"]|'s|'t|'re|'ve|'m|'ll|'d|[^" + re.escape(space) + letters + numbers + b"]+").findall
         self.lower = bytes(ord(c) if len(c := chr(i).lower()) == 1 and ord(c) < 256 else i for i in range(256))
 
     def __call__(self, text: str) -> list[bytes] | None:
@@ -118,6 +119,19 @@ def byte_letters() -> dict[int, str]:
     return {i: chr(i) for i in own} | {i: chr(256 + k) for k, i in enumerate(rest)}
 
 
+class _Numbers(dict):
+    """Numbers pieces as they come; ``new`` lists those that were not known."""
+
+    def __init__(self) -> None:
+        super().__init__()
+        self.new: list[bytes] = []
+
+    def __missing__(self, piece: bytes) -> int:
+        out = self[piece] = len(self)
+        self.new.append(piece)
+        return out
+
+
 class Encoder:
     """Ids of texts as the tokenizer gives them; where its way of splitting is known, each distinct piece is merged once.
 
@@ -145,9 +159,9 @@ class Encoder:
         self._clear()
 
     def _clear(self) -> None:
-        self.number: dict[bytes, int] = {}
+        self.number = _Numbers()
         self.size, self.first, self.flat = np.zeros(1 << 16, np.int32), np.zeros(1 << 16, np.int64), np.zeros(1 << 18, np.uint16 if self._narrow() else np.uint32)
-        self.used = 0
+        self.used = self.known = 0
 
     def _narrow(self) -> bool:
         return self.tokenizer.get_vocab_size() <= 1 << 16
@@ -160,7 +174,7 @@ class Encoder:
             stop = np.flatnonzero(self.ends[ids]) + 1
             if len(stop) != len(part):
                 raise ValueError("pieces without a word end")
-            n = len(self.number)
+            n = self.known
             while n + len(part) > len(self.size):
                 self.size, self.first = np.concatenate([self.size, np.zeros_like(self.size)]), np.concatenate([self.first, np.zeros_like(self.first)])
             while self.used + len(ids) > len(self.flat):
@@ -169,7 +183,7 @@ class Encoder:
             self.size[n : n + len(part)] = np.diff(stop, prepend=0)
             self.first[n : n + len(part)] = self.used + np.concatenate(([0], stop[:-1]))
             self.used += len(ids)
-            self.number.update(zip(part, range(n, n + len(part)), strict=True))
+            self.known += len(part)
 
     def __call__(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
         """Token counts with the end id, and all ids, of a chunk of texts."""
@@ -178,18 +192,15 @@ class Encoder:
         ready = {k: np.array(e.ids, np.uint32) for k, e in zip(whole, self.tokenizer.encode_batch_fast([texts[k] for k in whole], add_special_tokens=False), strict=True)} if whole else {}
         if len(self.number) > KEPT_PIECES:
             self._clear()
-        words = [w for x in split if x for w in x]
-        get = self.number.get
-        numbers = list(map(get, words))
-        if None in numbers:
-            self._learn(list(dict.fromkeys(w for w, n in zip(words, numbers, strict=True) if n is None)))
-            numbers = list(map(get, words))
-        n = np.array(numbers, np.int64)
+        counts = [len(x) if x else 0 for x in split]
+        n = np.fromiter(map(self.number.__getitem__, chain.from_iterable(x for x in split if x)), np.int64, sum(counts))
+        self._learn(self.number.new)
+        self.number.new = []
         size = self.size[n].astype(np.int64)
         total = np.concatenate(([0], np.cumsum(size)))
         # gather all pieces' ids: place in the flat store = first of the piece + place within it
         ids = self.flat[np.repeat(self.first[n] - total[:-1], size) + np.arange(total[-1])].astype(np.uint32)
-        stop = total[np.cumsum([len(x) if x else 0 for x in split])]
+        stop = total[np.cumsum(counts)]
         if not ready and self.end is None:
             return np.diff(stop, prepend=0), ids
         if not ready:
