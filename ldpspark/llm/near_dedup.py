@@ -24,6 +24,7 @@ are kept apart by their texts; a null id is left out of the least id of a compon
 from __future__ import annotations
 
 import math
+import re
 from collections.abc import Iterator
 from functools import lru_cache
 
@@ -38,38 +39,72 @@ from .components import components
 
 K, MISS = 40, 1e-10
 #: Classes and values of a block, columns of an incidence matrix at a time.
-BLOCK, BLOCK_VALUES, COLUMNS = 512, 400_000, 4096
-KEPT_WORDS = 1_000_000
+BLOCK, BLOCK_VALUES, COLUMNS, SLICE = 512, 400_000, 4096, 512
+SEGMENT, BLANK = 1 << 19, re.compile(rb"[\x20\x09-\x0D]")
 M1, M2, M3 = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB)
 
 
-class _Words(dict):
-    """64-bit hashes of words; emptied when it has grown over its bound."""
+@lru_cache(maxsize=1)
+def _tables(size: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Random number of each byte, powers of an odd number and of its inverse modulo 2^64, and which bytes are blank."""
+    random = np.random.default_rng(20).integers(0, 1 << 63, 256, np.uint64) * np.uint64(2) + np.uint64(1)
+    odd = int(M1)
+    power = np.cumprod(np.full(size, odd, np.uint64)) * np.uint64(pow(odd, -1, 1 << 64))
+    inverse = np.cumprod(np.full(size, pow(odd, -1, 1 << 64), np.uint64)) * M1
+    blank = np.zeros(256, bool)
+    blank[[32, *range(9, 14)]] = True
+    return random, power, inverse, blank
 
-    def __missing__(self, word: bytes) -> int:
-        if len(self) > KEPT_WORDS:
-            self.clear()
-        out = self[word] = xxhash.xxh64_intdigest(word)
-        return out
 
+def word_hashes(raw: bytes) -> tuple[np.ndarray, np.ndarray]:
+    """64-bit hash and start of each word of a lower-cased text: differences of running sums of byte number * power.
 
-_WORDS = _Words()
-
-
-def shingle_set(text: bytes | None, width: int) -> np.ndarray:
-    """Sorted distinct 64-bit hashes of a text's shingles."""
-    words = C.blank_words(text)
-    if not words:
-        return np.zeros(0, np.uint64)
-    w = np.fromiter(map(_WORDS.__getitem__, words), np.uint64, len(words))
-    width = min(width, len(w))
-    h = np.full(len(w) - width + 1, width, np.uint64)
+    Long texts are taken in segments that end between words, so what is held at once doesn't grow with them.
+    """
+    hashes, starts, at = [np.zeros(0, np.uint64)], [np.zeros(0, np.int64)], 0
+    while at < len(raw):
+        end = at + SEGMENT
+        if end < len(raw):
+            found = BLANK.search(raw, end)
+            end = found.start() if found else len(raw)
+        a = np.frombuffer(raw, np.uint8, min(end, len(raw)) - at, at)
+        random, power, inverse, blank = _tables(1 << max(20, (len(a)).bit_length()))
+        inside = np.zeros(len(a) + 2, bool)
+        inside[1:-1] = ~blank[a]
+        first, last = np.flatnonzero(inside[1:-1] & ~inside[:-2]), np.flatnonzero(inside[1:-1] & ~inside[2:])
+        total = np.zeros(len(a) + 1, np.uint64)
+        np.cumsum(random[a] * power[: len(a)], out=total[1:])
+        hashes.append((total[last + 1] - total[first]) * inverse[first])
+        starts.append(first + at)
+        at = end
+    return np.concatenate(hashes), np.concatenate(starts)
+
+
+def _combined(words: np.ndarray, width: int) -> np.ndarray:
+    """Hash of each run of ``width`` words."""
+    h = np.full(len(words) - width + 1, width, np.uint64)
     for j in range(width):
-        h = (h ^ w[j : j + len(h)]) * M1
+        h = (h ^ words[j : j + len(h)]) * M1
         h ^= h >> np.uint64(32)
     h = (h ^ (h >> np.uint64(30))) * M2
     h = (h ^ (h >> np.uint64(27))) * M3
-    return np.unique(h ^ (h >> np.uint64(31)))
+    return h ^ (h >> np.uint64(31))
+
+
+def shingle_sets(texts: list[bytes | None], width: int) -> Iterator[np.ndarray]:
+    """Sorted distinct 64-bit hashes of each text's shingles, in order; texts are taken in blocks."""
+    lo = size = 0
+    for k, text in enumerate(texts):
+        size += len(text or b"")
+        if size < SEGMENT and k + 1 < len(texts):
+            continue
+        block = [t or b"" for t in texts[lo : k + 1]]
+        words, starts = word_hashes(b"\n".join(block).lower())
+        bounds = np.searchsorted(starts, np.cumsum([0, *(len(t) + 1 for t in block)]))
+        every = _combined(words, width) if len(words) >= width else words[:0]
+        for a, b in zip(bounds[:-1].tolist(), bounds[1:].tolist(), strict=True):
+            yield np.unique(every[a : b - width + 1]) if b - a >= width else _combined(words[a:b], b - a) if b > a else words[:0]
+        lo, size = k + 1, 0
 
 
 def digest(values: np.ndarray) -> bytes:
@@ -97,10 +132,9 @@ def sketch(docs: DataFrame, *, id_col: str, text_col: str, width: int, k: int) -
     id_type = docs.schema[id_col].dataType.simpleString()
 
     def step(stream: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in stream:
+        for batch in (whole.slice(lo, SLICE) for whole in stream for lo in range(0, whole.num_rows, SLICE)):
             sizes, classes, least = [], [], []
-            for text in C.binary_list(batch.column(2)):
-                values = shingle_set(text, width)
+            for values in shingle_sets(C.binary_list(batch.column(2)), width):
                 sizes.append(len(values))
                 classes.append(digest(values) if len(values) else None)
                 least.append((values[:k] >> np.uint64(1)).astype(np.int64))
@@ -141,17 +175,18 @@ def _verified(docs: DataFrame, pairs: DataFrame, *, id_col: str, text_col: str,
 
     def step(stream: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         last: tuple[bytes | None, np.ndarray] = (None, np.zeros(0, np.uint64))
-        for batch in stream:
-            out = []
-            for a, b, x, y in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), C.binary_list(batch.column(2)), C.binary_list(batch.column(3)), strict=True):
-                if a != last[0]:
-                    last = (a, shingle_set(x, width))
-                other = shingle_set(y, width)
-                common = len(np.intersect1d(last[1], other, assume_unique=True))
-                if den * common >= num * (len(last[1]) + len(other) - common):
-                    out.append((a, b))
-            if out:
-                yield pa.RecordBatch.from_arrays([pa.array([p[0] for p in out], pa.binary()), pa.array([p[1] for p in out], pa.binary())], ["a", "b"])
+        for whole in stream:
+            for lo in range(0, whole.num_rows, SLICE):
+                batch, out = whole.slice(lo, SLICE), []
+                left, right = batch.column(0).to_pylist(), batch.column(1).to_pylist()
+                for k, (a, b, other) in enumerate(zip(left, right, shingle_sets(C.binary_list(batch.column(3)), width), strict=True)):
+                    if a != last[0]:
+                        last = (a, next(shingle_sets(C.binary_list(batch.column(2).slice(k, 1)), width)))
+                    common = len(np.intersect1d(last[1], other, assume_unique=True))
+                    if den * common >= num * (len(last[1]) + len(other) - common):
+                        out.append((a, b))
+                if out:
+                    yield pa.RecordBatch.from_arrays([pa.array([p[0] for p in out], pa.binary()), pa.array([p[1] for p in out], pa.binary())], ["a", "b"])
 
     return joined.mapInArrow(step, "a binary, b binary")
 
@@ -175,7 +210,7 @@ def _compared(
     dealt = dealt.select("hub", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "cls", "label", "text", "own")
 
     def step(task: pa.Table) -> pa.Table:
-        sets = [shingle_set(t, width) for t in C.binary_list(task.column("text").combine_chunks())]
+        sets = list(shingle_sets(C.binary_list(task.column("text").combine_chunks()), width))
         cls, label = task.column("cls").to_pylist(), np.unique(np.array(task.column("label").to_pylist(), object), return_inverse=True)[1]
         links = joining(sets, label, np.array(task.column("own").to_pylist()), num, den)
         return pa.table({"a": pa.array([cls[x] for x, _ in links], pa.binary()), "b": pa.array([cls[y] for _, y in links], pa.binary())})
