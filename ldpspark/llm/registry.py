@@ -1,9 +1,10 @@
 """Queries of the training-data operators, by name, and their SQL where it can express them."""
 
-from . import decontaminate, language_id, license_scan, mixing, near_dedup, token_output, topk, toxicity, url_filter
+from . import decontaminate, html_extract, language_id, license_scan, mixing, near_dedup, token_output, topk, toxicity, url_filter
 
 QUERIES = {
     "op1_license_scan": license_scan.op1_license_scan,
+    "op2_html_extraction": html_extract.op2_html_extraction,
     "op3_topk": topk.op3_topk,
     "op4_token_output": token_output.op4_token_output,
     "op5_toxicity": toxicity.op5_toxicity,
