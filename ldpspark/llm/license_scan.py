@@ -62,6 +62,10 @@ NOTICES = [
 ]
 
 
+#: Words of rules that say little about which license it is.
+COMMON = frozenset("licensed under with the terms public software general version free open common documentation org www license licenses creative commons attribution".split())
+
+
 def numbered(words: str) -> str:
     """Regular expression on numbered words; ``w?`` is an optional word, `` ?`` within a pattern allows a break."""
     out, tokens = [], words.replace(" ?", "\x01").split(" ")
@@ -83,8 +87,14 @@ def _optional(token: str) -> bool:
     return token.endswith("?") and not token.endswith("\\?")
 
 
-def rules() -> list[tuple[int, str, int, str, str]]:
-    """(order, label, priority, keyword, regular expression) of every rule, best priority first."""
+def rarest(words: str) -> str:
+    """The word between blanks that every match of a rule holds and that few other texts do: its longest plain one."""
+    plain = [t for t in words.replace(" ?", "\x01").split(" ") if re.fullmatch(r"[a-z0-9]+", t)]
+    return f" {'spdx' if 'spdx' in plain else max(plain, key=lambda t: (t not in COMMON, len(t)))} " if plain else " "
+
+
+def rules() -> list[tuple[int, str, int, str, str, str]]:
+    """(order, label, priority, keyword, rarest word, regular expression) of every rule, best priority first."""
     made: list[tuple[str, int, str, str]] = [*NOTICES]
     grant = "(?:licensed|released|distributed|available|published|provided|covered|redistributed) (?:under|by|with) the? terms? of? the?"
     for label, name, tag, address in FAMILIES:
@@ -102,7 +112,7 @@ def rules() -> list[tuple[int, str, int, str, str]]:
         made.append((f"cc-{part}", 1, "cc by", f"cc {part}".replace("-", " ")))
         made.append((f"cc-{part}", 1, "creative commons", f"creative commons {name}"))
         made.append((f"cc-{part}", 1, "licen", f"creativecommons org licenses {part}".replace("-", " ")))
-    unique = dict.fromkeys((label, prio, word, numbered(p)) for label, prio, word, p in made)
+    unique = dict.fromkeys((label, prio, word, rarest(p), numbered(p)) for label, prio, word, p in made)
     return [(k, *r) for k, r in enumerate(sorted(unique, key=lambda r: r[1]))]
 
 
@@ -125,8 +135,8 @@ def scan(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text") ->
     gate = " OR ".join(f"contains(norm, '{g}')" for g in GATES)
     rows = rows.select(id_col, "norm", n_words.alias("n_words"), F.expr(f"CASE WHEN {gate} THEN concat(' ', array_join(transform(split(trim(norm), ' '), (w, i) -> concat(w, '_', i)), ' ')) END").alias("placed"))
     base = [f"transform(regexp_extract_all(placed, {_sql(numbered(p))}, 1), x -> struct(cast(x as bigint) as at, '{label}' as label))" for p, label in BASE]
-    table = ", ".join(f"struct({k} as k, '{label}' as label, {prio} as prio, '{word}' as word, {_sql(p)} as p)" for k, label, prio, word, p in RULES)
-    found = f"""flatten(transform(filter(array({table}), r -> contains(norm, r.word)), r -> zip_with(
+    table = ", ".join(f"struct({k} as k, '{label}' as label, {prio} as prio, '{word}' as word, '{rare}' as rare, {_sql(p)} as p)" for k, label, prio, word, rare, p in RULES)
+    found = f"""flatten(transform(filter(array({table}), r -> contains(norm, r.rare) AND contains(norm, r.word)), r -> zip_with(
         regexp_extract_all(placed, r.p, 1), regexp_extract_all(placed, r.p, 2),
         (a, b) -> struct(cast(a as int) as first, -cast(b as int) as neg, r.prio as prio, r.k as k, r.label as label))))"""
     swept = """aggregate(sort_array(found), struct(-1 as m0, -1 as m1, -1 as m2, cast(array() as array<struct<first:int,last:int,prio:int,label:string>>) as kept),
@@ -161,8 +171,8 @@ w AS (SELECT doc_id, flat, CASE WHEN flat = '' THEN [] ELSE string_split(flat, '
 p AS (SELECT doc_id, CAST(len(words) AS BIGINT) AS n_words, ' ' || flat || ' ' AS norm, ' ' || array_to_string(list_transform(words, lambda x, i: x || '_' || (i - 1)), ' ') AS placed FROM w),
 b AS (SELECT doc_id, label, CAST(unnest(regexp_extract_all(placed, pat, 1)) AS BIGINT) AS place FROM p, (VALUES {_values([(numbered(p), label) for p, label in BASE])}) AS r(pat, label)),
 bs AS (SELECT doc_id, count(*) AS n_base, min(place) AS first_word, max(place) AS last_word, string_agg(DISTINCT label, ',' ORDER BY label) AS base_labels FROM b GROUP BY doc_id),
-r(k, label, prio, word, pat) AS (VALUES {_values(RULES)}),
-f AS (SELECT doc_id, k, label, prio, unnest(regexp_extract_all(placed, pat, 1)) AS a, unnest(regexp_extract_all(placed, pat, 2)) AS z FROM p JOIN r ON contains(norm, word)),
+r(k, label, prio, word, rare, pat) AS (VALUES {_values(RULES)}),
+f AS (SELECT doc_id, k, label, prio, unnest(regexp_extract_all(placed, pat, 1)) AS a, unnest(regexp_extract_all(placed, pat, 2)) AS z FROM p JOIN r ON contains(norm, word) AND contains(norm, rare)),
 d AS (SELECT doc_id, k, label, prio, CAST(a AS INTEGER) AS a, CAST(z AS INTEGER) AS z FROM f),
 m AS (SELECT *, max(CASE WHEN prio = 0 THEN z END) OVER o AS m0, max(CASE WHEN prio <= 1 THEN z END) OVER o AS m1, max(z) OVER o AS m2 FROM d
   WINDOW o AS (PARTITION BY doc_id ORDER BY a, z DESC, prio, k, label ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING)),
