@@ -297,7 +297,7 @@ def deduplicated(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "te
     """
     found = near_duplicates(docs, id_col=id_col, text_col=text_col, **options)
     keep = found.filter(F.col("n") > 0).groupBy("component").agg(F.min(F.struct(F.coalesce(F.col(id_col) != F.col("component"), F.lit(True)).alias("other"), F.col(id_col).alias("k_id"), F.col("th").alias("k_th"))).alias("x"))
-    keep = C.small(C.stored(keep.select("x.k_id", "x.k_th").distinct(), "kept"))
+    keep = C.stored(keep.select("x.k_id", "x.k_th").distinct(), "kept")
     return docs.withColumn("_th", F.xxhash64(text_col)).join(keep, (F.col("_th") == F.col("k_th")) & F.col(id_col).eqNullSafe(F.col("k_id")), "left_semi").drop("_th")
 
 
