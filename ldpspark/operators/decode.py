@@ -53,18 +53,42 @@ def ghost_edges(lists: DataFrame, code: ExpanderCode) -> DataFrame:
 
 
 def components(lists: DataFrame, edges: DataFrame, code: ExpanderCode) -> DataFrame:
-    """(b, m, y, label): least vertex number m * Y + y of the component of each list entry, by rounds of joins.
+    """(b, m, y, label): least vertex number m * Y + y of the component of each list entry, bucket by bucket.
 
-    For buckets too large for one task; a decoder's own pass finds components within its task.
+    A bucket holds at most m * cap entries, so one task finds its components.
     """
+    import pandas as pd
+
+    def bucket(nodes: pd.DataFrame, links: pd.DataFrame) -> pd.DataFrame:
+        v = (nodes["m"] * (1 << code.y_bits) + nodes["y"]).tolist()
+        root = {x: x for x in v}
+
+        def find(x: int) -> int:
+            while root[x] != x:
+                root[x] = x = root[root[x]]
+            return x
+
+        for a, c in zip((links["m1"] * (1 << code.y_bits) + links["y1"]).tolist(), (links["m2"] * (1 << code.y_bits) + links["y2"]).tolist(), strict=True):
+            p, q = find(a), find(c)
+            root[max(p, q)] = min(p, q)
+        return nodes[["b", "m", "y"]].assign(label=[find(x) for x in v])
+
+    return lists.select("b", "m", "y").groupBy("b").cogroup(edges.groupBy("b")).applyInPandas(bucket, "b bigint, m bigint, y bigint, label bigint")
+
+
+def components_by_rounds(lists: DataFrame, edges: DataFrame, code: ExpanderCode, store) -> DataFrame:
+    """The same by rounds of joins, for graphs beyond one task's memory; ``store`` cuts the lineage of each round."""
     number = lambda m, y: F.col(m) * (1 << code.y_bits) + F.col(y)
-    nodes = lists.select("b", "m", "y", number("m", "y").alias("v")).withColumn("label", F.col("v"))
+    nodes = store(lists.select("b", "m", "y", number("m", "y").alias("v")).withColumn("label", F.col("v")))
     pairs = edges.select("b", number("m1", "y1").alias("u"), number("m2", "y2").alias("v"))
-    pairs = pairs.union(pairs.select("b", F.col("v").alias("u"), F.col("u").alias("v")))
-    for _ in range(code.m):  # a component has at most a few vertices a layer, so labels settle within its layers
+    pairs = store(pairs.union(pairs.select("b", F.col("v").alias("u"), F.col("u").alias("v"))))
+    while True:
         best = pairs.join(nodes.select("b", F.col("v").alias("u"), "label"), ["b", "u"]).groupBy("b", "v").agg(F.min("label").alias("best"))
-        nodes = nodes.join(best, ["b", "v"], "left").select("b", "m", "y", "v", F.least("label", F.coalesce("best", "label")).alias("label"))
-    return nodes.select("b", "m", "y", "label")
+        new = nodes.join(best, ["b", "v"], "left").select("b", "m", "y", "v", F.least("label", F.coalesce("best", "label")).alias("label"), (F.col("best") < F.col("label")).alias("moved"))
+        new = store(new)
+        nodes = new.drop("moved")
+        if not new.filter("moved").limit(1).count():
+            return nodes.select("b", "m", "y", "label")
 
 
 def prune_low_degree(lists: DataFrame, edges: DataFrame, d: int) -> DataFrame:

@@ -37,7 +37,7 @@ FORMULAS = {
     # k randomized responses
     "shell_eps": "6 * eps * sqrt(k * ln(1 / beta))",
     "shell_eps_safe": "6 * eps * sqrt(k * ln(2 / beta))",
-    "shell_beta_limit": "pow(eps * sqrt(k) / (2 * (k + 1)), 2.0 / 3)",
+    "shell_beta_limit": "pow(eps * sqrt(k) / (2 * (k + 1)), 2e0 / 3)",
     "compose_basic": "k * eps",
     "compose_advanced": "eps * sqrt(2 * k * ln(1 / delta)) + k * eps * (exp(eps) - 1)",
     # approximate to pure
@@ -69,7 +69,7 @@ def text(name: str, **values: float | str) -> str:
         v = values.get(m[0])
         return m[0] if v is None else v if isinstance(v, str) else f"({v!r})"
 
-    return re.sub(r"\b[a-z]\w*\b", put, FORMULAS[name])
+    return re.sub(r"(?<![\w.])[a-z]\w*\b", put, FORMULAS[name])
 
 
 def column(name: str, **values: float | str) -> Column:
