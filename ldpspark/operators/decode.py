@@ -73,7 +73,7 @@ def components(lists: DataFrame, edges: DataFrame, code: ExpanderCode) -> DataFr
             root[max(p, q)] = min(p, q)
         return nodes[["b", "m", "y"]].assign(label=[find(x) for x in v])
 
-    return lists.select("b", "m", "y").groupBy("b").cogroup(edges.groupBy("b")).applyInPandas(bucket, "b bigint, m bigint, y bigint, label bigint")
+    return lists.select("b", "m", "y").groupBy("b").cogroup(edges.select(F.col("b").alias("eb"), "m1", "y1", "m2", "y2").groupBy("eb")).applyInPandas(bucket, "b bigint, m bigint, y bigint, label bigint")
 
 
 def components_by_rounds(lists: DataFrame, edges: DataFrame, code: ExpanderCode, store) -> DataFrame:
