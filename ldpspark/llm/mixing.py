@@ -65,7 +65,7 @@ def _drawn(docs: DataFrame, o: dict) -> DataFrame:
 def _planned(drawn: DataFrame, plan: DataFrame) -> DataFrame:
     """Adds the plan of a row's source and its ``_rank``: Pareto odds, mapped to (0, 1); null where nothing is drawn."""
     joined = drawn.join(C.small(plan), F.col("_source").eqNullSafe(F.col("p_source")), "left").drop("p_source")
-    p = F.least(F.col("p_need") / F.greatest("p_size", F.lit(1)) * F.col("_odds") / F.col("p_odds"), F.lit(1 - 1e-9))
+    p = F.greatest(F.least(F.col("p_need") / F.greatest("p_size", F.lit(1)) * F.col("_odds") / F.col("p_odds"), F.lit(1 - 1e-9)), F.lit(1e-12))
     odds = (F.col("_u") / (1 - F.col("_u"))) / (p / (1 - p))
     return joined.withColumn("_rank", F.when(F.col("p_need") > 0, odds / (1 + odds)))
 
@@ -86,7 +86,7 @@ def source_plan(docs: DataFrame, **options) -> DataFrame:
     o = OPTIONS | options
     drawn = _drawn(docs, o).select("_source", "_id", "_code", "_odds", "_u", word_count(F.col(o["text_col"])).alias("_size"))
     drawn = C.stored(drawn, "sizes")
-    sums = drawn.groupBy(F.col("_source").alias("source")).agg(F.sum("_size").alias("source_size"), (F.sum(F.col("_odds") * F.col("_size")) / F.sum("_size")).alias("odds"))
+    sums = drawn.groupBy(F.col("_source").alias("source")).agg(F.sum("_size").alias("source_size"), F.try_divide(F.sum(F.col("_odds") * F.col("_size")), F.sum("_size")).alias("odds"))
     sums = C.stored(sums, "sources")
     goal = targets(sums, o["weights"], o["total_share"], o["most"])
     whole = F.when(F.col("source_size") > 0, F.floor(F.col("target") / F.col("source_size"))).otherwise(0).cast("long")

@@ -249,7 +249,7 @@ def encode(
         for batch in stream:
             schema = schema or pa.schema([("part", pa.int32()), ("part_start", pa.int64()), ("block", pa.int32()), ("tokens", pa.int64()), ("ids", pa.list_(batch.schema.field(0).type)), ("payload", pa.binary())])
             ids, texts = batch.column(0).to_pylist(), batch.column(1)
-            for lo, hi in chunks(pc.binary_length(texts).to_numpy(zero_copy_only=False), CHUNK_BYTES):
+            for lo, hi in chunks(pc.binary_length(texts).to_numpy(zero_copy_only=False), min(CHUNK_BYTES, 4 * block_tokens)):
                 counts, tokens = encoding(texts.slice(lo, hi - lo).to_pylist())
                 held.append((ids[lo:hi], counts, tokens))
                 size += len(tokens)
