@@ -201,7 +201,8 @@ def _compared(
     group = member.groupBy("hub").agg(F.count("*").alias("size"), F.max("n").alias("most"), (F.min("label") != F.max("label")).alias("open"))
     # two classes are compared already; blocks hold at most BLOCK classes and about BLOCK_VALUES values
     group = group.filter("open and size > 2").withColumn("blocks", F.ceil(F.col("size") / F.greatest(F.lit(8), F.least(F.lit(BLOCK), F.floor(F.lit(BLOCK_VALUES) / F.col("most"))))).cast("int"))
-    member = C.stored(member.join(group.select("hub", "blocks"), "hub"), "open")
+    group = C.stored(group.select("hub", "blocks"), "groups")
+    member = C.stored(member.join(C.small(group), "hub"), "open")
     ends = C.small(C.stored(member.select("cls", "id", "th").distinct(), "ends"))
     rows = docs.select(F.col(id_col).alias("d_id"), F.xxhash64(text_col).alias("d_th"), F.col(text_col).alias("text"))
     texts = rows.join(ends, (F.col("d_th") == F.col("th")) & F.col("d_id").eqNullSafe(F.col("id"))).groupBy("cls").agg(F.first("text").alias("text"))
