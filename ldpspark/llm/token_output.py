@@ -101,7 +101,10 @@ class Pieces:
         space = b" \t\n\r\x0b\x0c\x85\xa0"
         letters, numbers = (b"".join(re.escape(bytes([i])) for i in range(256) if kind[i] == k) for k in "LN")
         self.find = re.compile(b"[" + letters + b"]+|[" + numbers + b"]|'s|'t|'re|'ve|'m|'ll|'d|[^" + re.escape(space) + letters + numbers + b"]+").findall
-        self.lower = bytes(ord(c) if len(c := chr(i).lower()) == 1 and ord(c) < 256 else i for i in range(256))
+        self.lower = bytes(32 if i in space else ord(c) if len(c := chr(i).lower()) == 1 and ord(c) < 256 else i for i in range(256))
+        self.plain = bytes(i for i in range(256) if kind[i] == "L") + b" "
+        self.hard = frozenset(i for i in range(256) if kind[i] == "N") | {39}
+        self.run = re.compile(b"[^ " + letters + b"]{2}").search
 
     def __call__(self, text: str) -> list[bytes] | None:
         """None: the text has other characters, or may name a special token."""
@@ -109,7 +112,16 @@ class Pieces:
             raw = text.encode("latin-1")
         except UnicodeEncodeError:
             return None
-        return None if b"<|" in raw else self.find(raw.translate(self.lower))
+        if b"<|" in raw:
+            return None
+        raw = raw.translate(self.lower)
+        marks = set(raw.translate(None, self.plain))
+        if len(marks) > 8 or not marks.isdisjoint(self.hard) or self.run(raw):
+            return self.find(raw)
+        # marks that stand alone among letters are pieces of their own: blanks around them make all pieces words
+        for m in marks:
+            raw = raw.replace(bytes([m]), bytes([32, m, 32]))
+        return raw.split()
 
 
 def byte_letters() -> dict[int, str]:
@@ -159,10 +171,24 @@ class Encoder:
         self._clear()
 
     def _clear(self) -> None:
-        self.number = _Numbers()
+        self.number, self.uses = _Numbers(), np.zeros(1 << 16, np.int32)
         self.size, self.first, self.flat = np.zeros(1 << 16, np.int32), np.zeros(1 << 16, np.int64), np.zeros(1 << 18, np.uint16 if self._narrow() else np.uint32)
         self.used = self.known = 0
 
+    def _forget(self) -> None:
+        """Keeps the pieces used most, a quarter of what may be kept; their use counts for less from then on."""
+        kept = np.argsort(-self.uses[: self.known], kind="stable")[: KEPT_PIECES // 4]
+        uses, names = self.uses[kept] // 2, list(self.number)
+        size, first, flat = self.size[kept].astype(np.int64), self.first[kept], self.flat
+        ids = flat[np.repeat(first - (np.cumsum(size) - size), size) + np.arange(size.sum())]
+        self._clear()
+        for k in kept.tolist():
+            dict.__setitem__(self.number, names[k], len(self.number))
+        self.known, self.used = len(kept), len(ids)
+        fit = lambda x, n: np.concatenate([x, np.zeros(max(0, n - len(x)), x.dtype)])
+        self.uses, self.size, self.first = fit(uses, 1 << 16), fit(size.astype(np.int32), 1 << 16), fit(np.cumsum(size) - size, 1 << 16)
+        self.flat = fit(ids, 1 << 18)
+
     def _narrow(self) -> bool:
         return self.tokenizer.get_vocab_size() <= 1 << 16
 
@@ -176,7 +202,7 @@ class Encoder:
                 raise ValueError("pieces without a word end")
             n = self.known
             while n + len(part) > len(self.size):
-                self.size, self.first = np.concatenate([self.size, np.zeros_like(self.size)]), np.concatenate([self.first, np.zeros_like(self.first)])
+                self.size, self.first, self.uses = (np.concatenate([x, np.zeros_like(x)]) for x in (self.size, self.first, self.uses))
             while self.used + len(ids) > len(self.flat):
                 self.flat = np.concatenate([self.flat, np.zeros_like(self.flat)])
             self.flat[self.used : self.used + len(ids)] = ids
@@ -191,11 +217,12 @@ class Encoder:
         whole = [k for k, x in enumerate(split) if x is None]
         ready = {k: np.array(e.ids, np.uint32) for k, e in zip(whole, self.tokenizer.encode_batch_fast([texts[k] for k in whole], add_special_tokens=False), strict=True)} if whole else {}
         if len(self.number) > KEPT_PIECES:
-            self._clear()
+            self._forget()
         counts = [len(x) if x else 0 for x in split]
         n = np.fromiter(map(self.number.__getitem__, chain.from_iterable(x for x in split if x)), np.int64, sum(counts))
         self._learn(self.number.new)
         self.number.new = []
+        self.uses[: self.known] += np.bincount(n, minlength=self.known).astype(np.int32)
         size = self.size[n].astype(np.int64)
         total = np.concatenate(([0], np.cumsum(size)))
         # gather all pieces' ids: place in the flat store = first of the piece + place within it
