@@ -60,7 +60,7 @@ class RejectionPurifier:
             return f"CASE WHEN len({kept}) = 0 THEN {every} ELSE {kept} END"
         every = f"sequence(CAST(0 AS BIGINT), CAST({self.t - 1} AS BIGINT))"
         kept = f"filter({every}, t -> {coin} < {limit})"
-        return f"CASE WHEN size({kept}) = 0 THEN {every} ELSE {kept} END"
+        return f"element_at(transform(array({kept}), k -> CASE WHEN size(k) = 0 THEN {every} ELSE k END), 1)"
 
     def pick(self, d: Dialect, places: str, user: str) -> str:
         g = d.digits(d.digest(self.role + "-pick", self.seed, user), 1, 13)

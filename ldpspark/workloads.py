@@ -688,7 +688,10 @@ def _events(spark, d) -> tuple[planner.ExpanderPlan, DataFrame, DataFrame]:
     """Plan, users with m and b, heavy items with b and f."""
     users, n = _counted(spark, d)
     p = plan_for(n, buckets=4)
-    u = users.select("user", "item", F.expr(p.group_text(SPARK, SPARK.digest("expander", p.seed, "user"))).alias("m"), F.expr(p.bucket_text(SPARK, "item")).alias("b"))
+    # never null: else joins on these columns push a null test below the projection, which writes them out once more
+    known = lambda text: F.coalesce(F.expr(text), F.lit(0).cast("long"))
+    u = users.select("user", known("item").alias("item"), known(p.group_text(SPARK, SPARK.digest("expander", p.seed, "user"))).alias("m"))
+    u = u.withColumn("b", known(p.bucket_text(SPARK, "item")))
     return p, u, u.groupBy("item", "b").agg(F.count("*").alias("f")).filter(F.col("f") >= HEAVY_F)
 
 
@@ -744,7 +747,7 @@ def event_separation(spark, d):
 def event_collisions(spark, d):
     """(6) Light users of a coordinate that fall on a heavy item's bucket and hash value."""
     p, u, heavy = _events(spark, d)
-    y = F.expr(p.code.y_text(SPARK, "item", "m"))
+    y = F.coalesce(F.expr(p.code.y_text(SPARK, "item", "m")), F.lit(0).cast("long"))
     light = u.join(F.broadcast(heavy.select("item")), "item", "left_anti").select("b", "m", y.alias("y")).groupBy("b", "m", "y").agg(F.count("*").alias("n"))
     cells = heavy.crossJoin(_span(spark, "m", p.code.m)).select("item", "b", "m", y.alias("y"))
     return cells.join(light, ["b", "m", "y"], "left").select("item", "m", F.coalesce("n", F.lit(0)).alias("light"))
