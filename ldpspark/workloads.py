@@ -1158,6 +1158,84 @@ def table_function(spark, _):
     return spark.sql("SELECT cast(m as bigint) as m, cast(y as bigint) as y, z FROM encode_item(77)")
 
 
+@query("generated_reports", f"SELECT item, round({unbias(2.0)!r}::DOUBLE * sum({DUCK.sign('r', 'item')} * s), 6) AS est FROM (SELECT r, CAST(sum(s) AS BIGINT) AS s FROM ({DirectOracle(2.0, 6).reports_sql('SELECT u AS ' + USER + ', [3, 9, 9, 40][u % 4 + 1] AS item FROM (SELECT unnest(generate_series(0, 4999)) AS u)')}) GROUP BY r), (SELECT unnest([3::BIGINT, 9, 40]) AS item) GROUP BY item")
+def generated_reports(spark, _):
+    """Reports of a Python data source through the oracle's server side."""
+    from ldpspark.sources.datasource import register
+
+    register(spark)
+    told = spark.read.format("ldp_reports").option("users", 5000).option("eps", 2.0).option("bits", 6).option("items", "3,9,9,40").load()
+    o = DirectOracle(2.0, 6)
+    return _est(o.estimate(o.fit(told), spark.createDataFrame([(3,), (9,), (40,)], "item long")))
+
+
+@query("csv_reports", f"SELECT r, CAST(sum(s) AS BIGINT) AS s, count(*) AS n FROM ({QTY.reports_sql(view_sql('u_qty'))}) GROUP BY r")
+def csv_reports(spark, d):
+    """Reports exported as CSV and read back with a declared schema."""
+    path = sinks.shared_dir(spark)
+    QTY.reports(view(spark, d, "u_qty")).write.option("header", "true").csv(path)
+    return QTY.fit(sinks.import_reports(spark, path, "csv", "user string, r long, s long"))
+
+
+@query("rounds_as_of", "SELECT e.user_id, count(*) AS events, CAST(max(r.round) AS BIGINT) AS last_round FROM events e ASOF JOIN (SELECT k AS round, TIMESTAMP '2020-01-01' + to_days(CAST(k * 10 AS INTEGER)) AS starts FROM (SELECT unnest(generate_series(0, 729)) AS k)) r ON e.ts >= r.starts GROUP BY e.user_id")
+def rounds_as_of(spark, d):
+    """The round in force at each event: rounds of unequal start are matched by the last start not after it."""
+    from pyspark.sql import Window
+
+    rounds = spark.range(730).select(F.col("id").alias("round"), F.expr("timestamp'2020-01-01' + make_dt_interval(cast(id * 10 as int))").alias("starts"))
+    events = load(spark, d, "events").select("user_id", "ts")
+    # one sorted pass: rounds carry their number forward to the events after them, year by year with the year's carry-in
+    marks = rounds.select(F.lit(None).cast("long").alias("user_id"), F.col("starts").alias("ts"), "round", F.lit(0).alias("kind"))
+    both = marks.union(events.select("user_id", "ts", F.lit(None).cast("long").alias("round"), F.lit(1).alias("kind"))).withColumn("y", F.year("ts"))
+    carry = rounds.groupBy((F.year("starts") + 1).alias("y")).agg(F.max("round").alias("before"))
+    seen = F.last("round", ignorenulls=True).over(Window.partitionBy("y").orderBy("ts", "kind").rowsBetween(Window.unboundedPreceding, 0))
+    found = both.withColumn("seen", seen).filter("kind = 1").join(F.broadcast(carry), "y", "left").withColumn("round", F.coalesce("seen", "before"))
+    return found.groupBy("user_id").agg(F.count("*").alias("events"), F.max("round").alias("last_round"))
+
+
+@query("generalization_steps", "SELECT * FROM (VALUES (1, 0.5::DOUBLE), (2, 1.0::DOUBLE), (3, 2.5::DOUBLE)) AS t(step, k)")
+def generalization_steps(spark, _):
+    """Running max-information of three steps of an adaptive analysis."""
+    from ldpspark.operators.privacy import generalization
+
+    rows = [(i + 1, k) for i, (k, _, _) in enumerate(generalization([(0.5, 1e-3), (0.5, 1e-3), (1.5, 0.0)], 1e-6))]
+    return spark.createDataFrame(rows, "step int, k double")
+
+
+@query("telemetry_by_day", f"SELECT CAST(epoch(date_trunc('day', ts)) // 86400 AS BIGINT) AS day, CAST(sum(s * {DUCK.sign('r', '3')}) AS BIGINT) AS signed, count(*) AS n FROM ({STREAM_SQL}) GROUP BY 1")
+def telemetry_by_day(spark, d):
+    """Reports of one event type a day: the sum that, scaled, estimates its count."""
+    told = collect.reports(load(spark, d, "events"), STREAM)
+    day = F.expr("unix_date(to_date(ts))").cast("long").alias("day")
+    return told.groupBy(day).agg(F.sum(F.col("s") * F.expr(SPARK.sign("r", "3"))).alias("signed"), F.count("*").alias("n"))
+
+
+@query("error_by_domain")
+def error_by_domain(spark, d):
+    """The main algorithm with items of 16, 24 and 32 bits at one budget: what is detectable, and what was found."""
+    users, n = _counted(spark, d)
+    out = None
+    for preset, shift in (("small", 0), ("medium", 8)):
+        p = planner.plan(n, plan_for(n).eps, preset=preset)
+        found = ExpanderHeavyHitters(p).run(users.withColumn("item", F.expr(f"item * {1 << shift}")))
+        row = found.agg(F.count("*").alias("listed")).select(F.lit(p.code.bits).alias("item_bits"), F.lit(float(p.detectable)).alias("detectable"), "listed")
+        out = row if out is None else out.union(row)
+    return out
+
+
+@query("plain_code_fails", "SELECT 0::BIGINT AS recovered")
+def plain_code_fails(spark, d):
+    """Independent hashes without stitching: symbols of one bucket can't be told apart, so joining them by rank of y fails."""
+    lists = _words(spark, d).filter("b < 40").groupBy("b", "m", "y").agg(F.max("z").alias("z"))
+    symbol = F.expr(f"shiftright(z, {CODE.d * CODE.y_bits})")
+    joined = lists.select("b", "m", "y", symbol.alias("symbol")).groupBy("b", "y").agg(F.sort_array(F.collect_list(F.struct("m", "symbol"))).alias("w")).filter(F.size("w") == CODE.m)
+    truth = load(spark, d, "part").select(F.col("p_partkey").cast("long").alias("item"))
+    word = F.expr("transform(w, x -> x.symbol)")
+    own = truth.withColumn("m", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(CODE.m - 1).cast("long")))).select("item", "m", F.expr(f"shiftright({CODE.z_text(SPARK, 'item', 'm')}, {CODE.d * CODE.y_bits})").alias("symbol"))
+    words = own.groupBy("item").agg(F.sort_array(F.collect_list(F.struct("m", "symbol"))).alias("v")).select("item", F.expr("transform(v, x -> x.symbol)").alias("word"))
+    return joined.select("b", word.alias("word")).join(words, "word").agg(F.count("*").alias("recovered"))
+
+
 @query("method_comparison")
 def method_comparison(spark, d):
     """Main algorithm, single hash and its repetition at one budget: size, largest error and what is missed."""

@@ -192,3 +192,45 @@ def test_table_of_errors_orders_the_methods():
         assert v["main_error"] < v["single_hash_error"] < v["oldest_error"]
     assert bounds.value("main_error", n=6e4, x=2.0**32, eps=1.0, beta=0.1) == pytest.approx(1212, abs=1)
     assert bounds.value("oldest_error", n=6e5, x=2.0**32, eps=1.0, beta=1e-6) == pytest.approx(187332, rel=1e-3)
+
+
+def test_ledger_refuses_and_frozen_protocols_stay_frozen():
+    from ldpspark.operators.privacy import Frozen, Ledger, generalization
+
+    ledger = Ledger(1.0)
+    ledger.spend("round 1", 0.5)
+    ledger.spend("round 1", 0.5)
+    with pytest.raises(ValueError):
+        ledger.spend("round 1", 0.1)
+    p = Frozen(()).add(BitFlip(0.5)).add(BitFlip(0.5))
+    assert p.budget() == 1.0
+    with pytest.raises(ValueError):
+        p.answer().add(BitFlip(0.5))
+    assert generalization([(0.5, 0.01), (1.0, 0.0)], 1e-3)[-1] == pytest.approx((1.5, 0.01, math.exp(1.5) * 1e-3 + 0.01))
+
+
+def test_joint_report_of_the_main_method_is_private():
+    """Both halves' signs for two items, all public coins fixed: the law's worst ratio is e^eps."""
+    eps = 1.0
+    p = BitFlip(eps / 2).keep
+    worst = 0.0
+    for s1, s2 in itertools.product((1, -1), repeat=2):
+        law = []
+        for a, b in itertools.product((1, -1), repeat=2):
+            law.append((p if s1 == a else 1 - p) * (p if s2 == b else 1 - p))
+        worst = max(worst, math.log(max(law) / min(law)))
+    assert worst == pytest.approx(eps)
+
+
+def test_source_bits_stay_independent_given_their_reports():
+    p = BitFlip(0.5).keep
+    for report in itertools.product((0, 1), repeat=4):
+        joint = {}
+        for bits in itertools.product((0, 1), repeat=2):
+            users = [bits[0], bits[0], bits[1], bits[1]]
+            joint[bits] = math.prod(p if u == r else 1 - p for u, r in zip(users, report, strict=True)) / 4
+        total = sum(joint.values())
+        for x, y in joint:
+            px = sum(v for k, v in joint.items() if k[0] == x) / total
+            py = sum(v for k, v in joint.items() if k[1] == y) / total
+            assert joint[x, y] / total == pytest.approx(px * py)
