@@ -37,8 +37,8 @@ def held_out(doc_id: Column, folds: int = 5) -> Column:
     return F.crc32(F.coalesce(doc_id.cast("string"), F.lit("")).cast("binary")) % folds == 0
 
 
-#: Rows of whole texts that go to a Python worker at a time; Spark's own value of 10,000 makes batches of tens of MB.
-BATCH_ROWS = 1000
+#: Rows of whole texts that go to a Python worker at a time; Spark's own value of 10,000 makes batches of tens of MB, twice in native memory.
+BATCH_ROWS = 400
 
 
 def small_batches(spark: SparkSession) -> None:

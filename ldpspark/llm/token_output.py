@@ -38,7 +38,7 @@ from pyspark.sql import functions as F
 from . import common as C
 
 MAGIC, HEAD = b"TIB1", struct.Struct("<4sQQQQ")
-BLOCK_TOKENS, CHUNK_BYTES = 1 << 20, 1 << 20
+BLOCK_TOKENS, CHUNK_BYTES = 1 << 19, 1 << 20
 KEPT_PIECES = 250_000
 #: Lengths in bytes of the four tokens of each control byte.
 LENGTHS = np.array([[(c >> s & 3) + 1 for s in (0, 2, 4, 6)] for c in range(256)], np.int64)
