@@ -86,6 +86,28 @@ def test_html_parser_cases():
     assert main("<article>t<!-- open <p>never") == "t" and main("<article>t<script>never") == "t"
 
 
+LAYOUTS = [
+('<body class="single-post"><header class="site-header"><a href="/">Logo</a><nav>m</nav></header><div id="content"><h1>T</h1><p>Body text here is long enough to matter.</p><p class="notice">Cookie notice</p><div class="share-buttons">Share</div></div><aside id="sidebar">S</aside><div id="comments"><p>c1</p></div><footer>F</footer></body>','T Body text here is long enough to matter.'),
+('<main><article><header><h1>T</h1></header><p>One&#8217;s</p><pre>a\n b</pre><blockquote>q</blockquote><ul><li>x</li></ul><section class="comments"><h2>Comments</h2><article class="comment"><p>very long comment text that goes on and on and on and on</p></article></section></article></main>','T One’s a b q x'),
+('<div class="page"><ul class="menu"><li>Home</li></ul><div class="story-body"><p>Para 1</p><p>Para 2 <span>in</span>line</p><table><tr><th>h</th><td>d</td></tr></table></div><div class="advert">Buy</div></div>','Para 1 Para 2 inline h d'),
+('<html><body><div role="navigation">n</div><div role="main"><p>m</p></div><div role="contentinfo">f</div></body></html>','m'),
+('<ARTICLE><P>Upper<BR/>case</P></ARTICLE>','Upper case'),
+('<body><nav><ul><li><a href=a>x</a></nav><article><p>t1<p>t2<div class="cookie-consent">ok?</div><form><input><button>Go</button></form></article>','t1 t2'),
+('<p>&lt;b&gt; &amp;amp; &nbsp; x</p>','<b> &amp; x'),
+('<article><p>a</p><script>if (a < b) { x = "</p>" }</script><style>.a{}</style><noscript>no</noscript><p>b</p></article>','a b'),
+('<article>one</article><article>two is the longer article</article>','two is the longer article'),
+('<body><section class="hero banner">Big</section><section><p>Real content paragraph.</p></section></body>','Real content paragraph.'),
+('<article><figure><img alt=x><figcaption>cap</figcaption></figure><p>t</p></article>','cap t'),
+('<article><p>a<!-- x --> b</p><![CDATA[zz]]><?php echo 1 ?></article>','a b'),
+('<div class="content-wrapper has-sidebar"><div class="entry-content"><p>Hello world text</p></div><div class="widget">w</div></div>','Hello world text'),
+]
+
+
+@pytest.mark.parametrize("page,text", LAYOUTS)
+def test_html_layouts(page, text):
+    assert html_extract.Page(page).main_text(frozenset(), frozenset()) == text
+
+
 def test_html_template_drops_what_pages_share(spark):
     page = "<html><body><div><ul><li>Home</li><li>About</li></ul></div><div><p>Join our list today</p></div><div><div>{0}</div></div><div><p>All the small print</p></div></body></html>"
     rows = [(i, f"http://h.org/{i}", page.format(f"<p>Story {i} tells {'many ' * (i + 3)}things</p><p>and more {i}</p>")) for i in range(12)]
