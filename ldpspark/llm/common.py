@@ -4,7 +4,6 @@ from __future__ import annotations
 
 import tempfile
 import uuid
-import zlib
 from collections.abc import Callable, Iterable, Iterator
 
 import pyarrow as pa
@@ -27,11 +26,6 @@ def ascii_words(text: bytes | None) -> list[bytes]:
     return text.translate(WORD_TABLE).split() if text else []
 
 
-def blank_words(text: bytes | None) -> list[bytes]:
-    """Runs without blank, tab, line feed, vertical tab, form feed or carriage return; A-Z lower-cased."""
-    return text.lower().split() if text else []
-
-
 def held_out(doc_id: Column, folds: int = 5) -> Column:
     """True for the fold crc32(doc_id as text) mod ``folds`` = 0 (a null id counts as empty text)."""
     return F.crc32(F.coalesce(doc_id.cast("string"), F.lit("")).cast("binary")) % folds == 0
@@ -90,14 +84,6 @@ def uniform(*parts: Column) -> Column:
     return F.conv(F.substring(F.md5(key), 1, 13), 16, 10).cast("long") / F.lit(float(1 << 52))
 
 
-def crc_fold(doc_id: int | None, folds: int = 5) -> int:
-    return zlib.crc32(("" if doc_id is None else str(doc_id)).encode()) % folds
-
-
 def small(df: DataFrame, rows: int = 200_000) -> DataFrame:
     """``df``, a stored table of few columns, with a broadcast hint if it is counted to have at most ``rows`` rows."""
     return F.broadcast(df) if df.limit(rows + 1).count() <= rows else df
-
-
-def few_partitions(spark: SparkSession, least: int = 1) -> int:
-    return max(least, int(spark.conf.get("spark.sql.shuffle.partitions")))

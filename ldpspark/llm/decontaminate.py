@@ -14,7 +14,6 @@ benchmark is taken in slices, one pass over the documents each, the hit words be
 
 from __future__ import annotations
 
-import hashlib
 import itertools
 import re
 from collections.abc import Iterable, Iterator
