@@ -1041,6 +1041,18 @@ def private_histogram(spark, d):
     return _est(apps.histogram(users, "lang", _HIST, 8), "lang", "item")
 
 
+_DYADIC = DirectOracle(2.0, 6, role="dyadic")
+_DR, _DS = _DYADIC.row_sign(DUCK, "item", USER)
+_LEVEL = f"{DUCK.digits(DUCK.digest('level', 1, USER), 1, 8)} % 6"
+
+
+@query("private_dyadic_counts", f"SELECT g.level, i.item, round({unbias(2.0)!r}::DOUBLE * sum({DUCK.sign('g.r', 'i.item')} * g.s), 6) AS est FROM (SELECT level, r, sum(s) AS s FROM (SELECT level, {_DR} AS r, {_DS} AS s FROM (SELECT {USER}, level, item >> CAST(level AS INTEGER) AS item FROM (SELECT {USER}, item, {_LEVEL} AS level FROM ({view_sql('u_qty')})))) GROUP BY level, r) g, (SELECT unnest(generate_series(0, 63)) AS item) i WHERE i.item < 64 >> CAST(g.level AS INTEGER) GROUP BY g.level, i.item")
+def private_dyadic_counts(spark, d):
+    """Counts of all dyadic intervals: each user answers for the interval of one level; any range is a few of them."""
+    est = apps.histogram(apps.dyadic(view(spark, d, "u_qty"), 6), "level", _DYADIC, 64)
+    return _est(est.filter(F.expr("item < shiftright(64, cast(level as int))")), "level", "item")
+
+
 @query("report_marginals", "SELECT l_returnflag, l_linestatus, count(*) AS users, CAST(sum(CAST(l_quantity AS BIGINT)) AS BIGINT) AS quantity FROM lineitem GROUP BY CUBE (l_returnflag, l_linestatus)")
 def report_marginals(spark, d):
     return load(spark, d, "lineitem").cube("l_returnflag", "l_linestatus").agg(F.count("*").alias("users"), F.sum(F.col("l_quantity").cast("long")).alias("quantity"))

@@ -135,3 +135,13 @@ def test_error_shrinks_with_eps_and_grows_with_n(spark, sf):
     assert e[0.5] > e[1.0] > e[2.0] > e[4.0]
     n = sorted((r["n"], r["rmse"]) for r in W.error_by_n(spark, sf).collect())
     assert n[0][1] < n[-1][1]
+
+
+def test_hashes_agree_with_python(spark):
+    from ldpspark.functions.dialect import SPARK, coefficients, linear, linear_value, polynomial, polynomial_value
+
+    items = [0, 1, 77, 2**31 - 1, 2**31, 2**45 + 12345, 2**62 - 1]
+    poly, (a0, a1, b) = coefficients("p", 1, 8), coefficients("l", 1, 3)
+    df = spark.createDataFrame([(x,) for x in items], "item long")
+    for r in df.select("item", F.expr(polynomial(SPARK, "item", poly)).alias("p"), F.expr(linear(SPARK, "item", str(a0), str(a1), str(b))).alias("l")).collect():
+        assert r["p"] == polynomial_value(r["item"], poly) and r["l"] == linear_value(r["item"], a0, a1, b)
