@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+import contextlib
+import ctypes
+import gc
 import tempfile
 import uuid
 from collections.abc import Callable, Iterable, Iterator
@@ -26,6 +29,23 @@ def ascii_words(text: bytes | None) -> list[bytes]:
     return text.translate(WORD_TABLE).split() if text else []
 
 
+_CACHES: dict[str, Callable[[], None]] = {}
+
+
+def own(name: str, clear: Callable[[], None]) -> None:
+    """Called by an operator's step at its start in a Python worker, which Spark keeps for later tasks of any operator.
+
+    What other operators have kept in this worker is let go, and freed memory goes back to the system.
+    """
+    _CACHES[name] = clear
+    for other in [x for x in _CACHES if x != name]:
+        _CACHES.pop(other)()
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    with contextlib.suppress(OSError, AttributeError):  # a C library without this call
+        ctypes.CDLL(None).malloc_trim(0)
+
+
 def held_out(doc_id: Column, folds: int = 5) -> Column:
     """True for the fold crc32(doc_id as text) mod ``folds`` = 0 (a null id counts as empty text)."""
     return F.crc32(F.coalesce(doc_id.cast("string"), F.lit("")).cast("binary")) % folds == 0

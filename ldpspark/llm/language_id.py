@@ -217,6 +217,7 @@ def identify(
     where = docs.columns.index(text_col) if keep is not None else 1
 
     def step(stream: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        C.own("language", _SYMBOLS.clear)
         for batch in stream:
             texts, found, scores = C.binary_list(batch.column(where)), [], [np.zeros(0)]
             for lo, hi in pieces(texts):

@@ -40,11 +40,11 @@ from .components import components
 K, MISS = 40, 1e-10
 #: Classes and values of a block, columns of an incidence matrix at a time.
 BLOCK, BLOCK_VALUES, COLUMNS, SLICE = 512, 400_000, 4096, 512
-SEGMENT, BLANK = 1 << 19, re.compile(rb"[\x20\x09-\x0D]")
+SEGMENT, BLANK = (1 << 19) - (1 << 12), re.compile(rb"[\x20\x09-\x0D]")
 M1, M2, M3 = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB)
 
 
-@lru_cache(maxsize=1)
+@lru_cache(maxsize=2)
 def _tables(size: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
     """Random number of each byte, powers of an odd number and of its inverse modulo 2^64, and which bytes are blank."""
     random = np.random.default_rng(20).integers(0, 1 << 63, 256, np.uint64) * np.uint64(2) + np.uint64(1)
@@ -68,7 +68,7 @@ def word_hashes(raw: bytes) -> tuple[np.ndarray, np.ndarray]:
             found = BLANK.search(raw, end)
             end = found.start() if found else len(raw)
         a = np.frombuffer(raw, np.uint8, min(end, len(raw)) - at, at)
-        random, power, inverse, blank = _tables(1 << max(20, (len(a)).bit_length()))
+        random, power, inverse, blank = _tables(1 << max(19, len(a).bit_length()))
         inside = np.zeros(len(a) + 2, bool)
         inside[1:-1] = ~blank[a]
         first, last = np.flatnonzero(inside[1:-1] & ~inside[:-2]), np.flatnonzero(inside[1:-1] & ~inside[2:])
@@ -132,6 +132,7 @@ def sketch(docs: DataFrame, *, id_col: str, text_col: str, width: int, k: int) -
     id_type = docs.schema[id_col].dataType.simpleString()
 
     def step(stream: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        C.own("near-duplicates", _tables.cache_clear)
         for batch in (whole.slice(lo, SLICE) for whole in stream for lo in range(0, whole.num_rows, SLICE)):
             sizes, classes, least = [], [], []
             for values in shingle_sets(C.binary_list(batch.column(2)), width):
@@ -174,6 +175,7 @@ def _verified(docs: DataFrame, pairs: DataFrame, *, id_col: str, text_col: str,
     joined = joined.join(texts.select(F.col("cls").alias("a"), F.col("text").alias("a_text")), "a").select("a", "b", "a_text", "b_text")
 
     def step(stream: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        C.own("near-duplicates", _tables.cache_clear)
         last: tuple[bytes | None, np.ndarray] = (None, np.zeros(0, np.uint64))
         for whole in stream:
             for lo in range(0, whole.num_rows, SLICE):

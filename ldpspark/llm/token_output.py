@@ -38,8 +38,8 @@ from pyspark.sql import functions as F
 from . import common as C
 
 MAGIC, HEAD = b"TIB1", struct.Struct("<4sQQQQ")
-BLOCK_TOKENS, CHUNK_BYTES = 1 << 19, 1 << 20
-KEPT_PIECES = 250_000
+BLOCK_TOKENS, CHUNK_BYTES = 1 << 19, 1 << 19
+KEPT_PIECES = 200_000
 #: Lengths in bytes of the four tokens of each control byte.
 LENGTHS = np.array([[(c >> s & 3) + 1 for s in (0, 2, 4, 6)] for c in range(256)], np.int64)
 
@@ -260,6 +260,7 @@ def encode(
     def step(stream: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
 
+        C.own("token output", encoder.cache_clear)
         part, encoding = TaskContext.get().partitionId(), encoder(tokenizer, end_id)
         held: list[tuple[list, np.ndarray, np.ndarray]] = []
         size = before = number = 0
