@@ -3,7 +3,7 @@
 A token is an element (its path of tags, classes and ids) or a text on such a path. Its occurrence vector says how often
 it stands on each page of a host. Vectors aren't built: a token's vector is known by the xor of a 64-bit hash of (page,
 count) over its pages, which partial aggregates form in any order, so a host with a third of all pages is no hot spot.
-Tokens of a host with equal vectors form a class; a class is valid with at least ``LEAST_TOKENS`` tokens, on ``LEAST_PAGES``
+Pages of a host with the same content are one page. Tokens of a host with equal vectors form a class; a class is valid with at least ``LEAST_TOKENS`` tokens, on ``LEAST_PAGES``
 pages and on a share ``LEAST_SHARE`` of the host's pages. Valid classes nest by the paths of their tokens (a class's
 slots hold the classes whose paths go on from its own) and make up the host's template; text that is no template token
 is what fills its slots.
@@ -14,7 +14,8 @@ id menus, headers, footers, sidebars, notices, adverts, forms, comments or the l
 so are template texts (in a declared article only those that nearly all of at least ``SURE_PAGES`` pages share).
 
 Defined results: null and empty pages give empty text; pages without a usable URL share the empty host; a repeated row
-is extracted like the other; hosts with few pages have no template, and the elements alone decide.
+is extracted like the other and has no vote of its own; on hosts with few different pages, or whose pages agree in nearly
+all their text, the elements alone decide.
 """
 
 from __future__ import annotations
@@ -33,6 +34,8 @@ from . import common as C
 from .url_filter import host_path
 
 LEAST_TOKENS, LEAST_PAGES, LEAST_SHARE, SURE_PAGES, SURE_SHARE = 3, 3, 0.5, 8, 0.95
+#: Share of a host's text that lies outside the template where pages have articles of their own.
+OWN_SHARE = 0.1
 RAW = "script|style|noscript|template|iframe|textarea|title|xmp|noframes|svg|math|select"
 TOKEN = re.compile(
     rf"<!--(?:.*?-->|.*)|<(?P<raw>{RAW})\b(?:[^>\"']|\"[^\"]*\"|'[^']*')*?(?:/>|>(?:.*?</(?P=raw)\s*>|.*))|<[!?][^>]*>"
@@ -160,8 +163,26 @@ class Page:
                 count[p] = count.get(p, 0) + 1
         return count
 
-    def main_text(self, template: frozenset[int], sure: frozenset[int]) -> str:
-        """Text of the article's slots. template, sure: the host's template tokens, and those that nearly all pages have."""
+    def sizes(self) -> dict[int, int]:
+        """Characters of every text token, where elements don't leave it out."""
+        size: dict[int, int] = {}
+        for e, t, _ in self.texts:
+            if not self.out[e] and (w := " ".join(t.split())):
+                p = xxhash.xxh64_intdigest(w, self.path[e] ^ 1)
+                size[p] = size.get(p, 0) + len(w)
+        return size
+
+    def main_text(self, template: frozenset[int], sure: frozenset[int], most: frozenset[int] = frozenset()) -> str:
+        """Text of the article's slots. template: the host's template tokens; most: those that nearly all pages have; sure: those of them dropped from a declared article.
+
+        Where no text would be left, a declared article is kept whole, and elsewhere only ``most`` is dropped.
+        """
+        text = self._main_text(template, sure)
+        if text or not template:
+            return text
+        return self._main_text(most, frozenset())
+
+    def _main_text(self, template: frozenset[int], sure: frozenset[int]) -> str:
         n = len(self.parent)
         holds = np.zeros(n, bool)  # a declared article lies below
         for e in range(n - 1, 0, -1):
@@ -213,51 +234,66 @@ def _signed(x: int) -> int:
 
 
 def templates(pages: DataFrame) -> DataFrame:
-    """host, tokens, sure: of every host with valid classes. pages: host, key (hash of the page), html."""
+    """host, n, tokens, most, agree: of every host with valid classes. pages: host, key (hash of the content), html.
+
+    Rows of a host with one key are one page and vote once; ``n`` counts pages. most: the tokens on nearly all pages.
+    agree: hardly any text is left outside the template, so its tokens can't be told from the articles'.
+    """
 
     def step(stream: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in stream:
             held: dict[tuple[str, int], list[int]] = {}
             for host, key, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2), strict=True):
                 page = Page(text.as_py() or "")
+                size = page.sizes()
                 for token, count in page.tokens().items():
-                    x = held.setdefault((host, token), [0, 0])
+                    x = held.setdefault((host, token), [0, 0, 0])
                     x[0] += 1
                     x[1] ^= _signed(xxhash.xxh64_intdigest(count.to_bytes(4, "little"), key & (1 << 64) - 1))
+                    x[2] += size.get(token, 0)
             if held:
+                columns = [pa.array([x[k] for x in held.values()], pa.int64()) for k in range(3)]
                 yield pa.RecordBatch.from_arrays(
-                    [pa.array([h for h, _ in held]), pa.array([_signed(t) for _, t in held], pa.int64()), pa.array([x[0] for x in held.values()], pa.int64()), pa.array([x[1] for x in held.values()], pa.int64())],
-                    ["host", "token", "pages", "vector"],
+                    [pa.array([h for h, _ in held]), pa.array([_signed(t) for _, t in held], pa.int64()), *columns], ["host", "token", "pages", "vector", "size"]
                 )
 
-    found = pages.select("host", "key", "html").mapInArrow(step, "host string, token bigint, pages bigint, vector bigint")
-    found = found.groupBy("host", "token").agg(F.sum("pages").alias("pages"), F.bit_xor("vector").alias("vector"))
-    sizes = C.small(C.stored(pages.groupBy("host").agg(F.count("*").alias("n")).filter(F.col("n") >= LEAST_PAGES), "hosts"))
+    votes = C.stored(pages.groupBy("host", "key").agg(F.count("*").alias("rows")), "votes")
+    repeated = C.small(C.stored(votes.filter("rows > 1").select("host", "key"), "repeated"))
+    pages = pages.select("host", "key", "html")
+    # only pages that stand in several rows are moved to find one of each
+    once = pages.join(repeated, ["host", "key"], "left_semi").groupBy("host", "key").agg(F.first("html").alias("html"))
+    pages = pages.join(repeated, ["host", "key"], "left_anti").union(once)
+    found = pages.mapInArrow(step, "host string, token bigint, pages bigint, vector bigint, size bigint")
+    found = C.stored(found.groupBy("host", "token").agg(F.sum("pages").alias("pages"), F.bit_xor("vector").alias("vector"), F.sum("size").alias("size")), "tokens")
+    sizes = C.small(C.stored(votes.groupBy("host").agg(F.count("*").alias("n")).filter(F.col("n") >= LEAST_PAGES), "hosts"))
     often = found.filter(F.col("pages") >= LEAST_PAGES).join(sizes, "host").filter(F.col("pages") >= LEAST_SHARE * F.col("n"))
     # a class has at most the tokens that half of the host's pages share
-    classes = often.groupBy("host", "vector", "pages", "n").agg(F.collect_list("token").alias("tokens")).filter(F.size("tokens") >= LEAST_TOKENS)
-    sure = F.when((F.col("n") >= SURE_PAGES) & (F.col("pages") >= SURE_SHARE * F.col("n")), F.col("tokens")).otherwise(F.array().cast("array<bigint>"))
-    return classes.groupBy("host").agg(F.flatten(F.collect_list("tokens")).alias("tokens"), F.flatten(F.collect_list(sure)).alias("sure"))
+    classes = often.groupBy("host", "vector", "pages", "n").agg(F.collect_list("token").alias("tokens"), F.sum("size").alias("size")).filter(F.size("tokens") >= LEAST_TOKENS)
+    most = F.when(F.col("pages") >= SURE_SHARE * F.col("n"), F.col("tokens")).otherwise(F.array().cast("array<bigint>"))
+    known = classes.groupBy("host", "n").agg(F.flatten(F.collect_list("tokens")).alias("tokens"), F.flatten(F.collect_list(most)).alias("most"), F.sum("size").alias("size"))
+    whole = found.groupBy("host").agg(F.sum("size").alias("whole"))
+    return known.join(whole, "host").select("host", "n", "tokens", "most", (F.col("whole") - F.col("size") < OWN_SHARE * F.col("whole")).alias("agree"))
 
 
 def extract(pages: DataFrame, *, id_col: str = "page_id", url_col: str = "url", html_col: str = "html") -> DataFrame:
     """id, url, text of every row."""
     host, _ = host_path("_url")
     rows = pages.select(F.col(id_col).alias("_id"), F.col(url_col).alias("_url"), F.col(html_col).alias("html"))
-    rows = rows.select("_id", "_url", host.alias("host"), F.xxhash64("_url", "html").alias("key"), "html")
+    rows = rows.select("_id", "_url", host.alias("host"), F.xxhash64(F.coalesce("html", F.lit(""))).alias("key"), "html")
     known = C.small(C.stored(templates(rows), "templates"))
     id_type, url_type = (pages.schema[c].dataType.simpleString() for c in (id_col, url_col))
-    joined = rows.join(known, "host", "left").select("_id", "_url", "html", "tokens", "sure", "host")
+    joined = rows.join(known, "host", "left").select("_id", "_url", "html", "host", "n", "tokens", "most", "agree")
 
     def step(stream: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        kept: dict[str, tuple[frozenset[int], frozenset[int]]] = {}
+        kept: dict[str, tuple[frozenset[int], ...]] = {}
         for batch in stream:
             out = []
-            for text, tokens, sure, host in zip(batch.column(2), batch.column(3), batch.column(4), batch.column(5).to_pylist(), strict=True):
+            for text, host, n, tokens, most, agree in zip(batch.column(2), *(batch.column(k).to_pylist() for k in (3, 4)), *(batch.column(k) for k in (5, 6, 7)), strict=True):
                 if host not in kept:
                     if len(kept) > 1000:
                         kept.clear()
-                    kept[host] = tuple(frozenset(x & (1 << 64) - 1 for x in (y.as_py() or [])) for y in (tokens, sure))
+                    known, nearly = (frozenset(x & (1 << 64) - 1 for x in (not agree.as_py() and y.as_py() or [])) for y in (tokens, most))
+                    kept[host] = (known, nearly if (n or 0) >= SURE_PAGES else frozenset(), nearly)
                 out.append(Page(text.as_py() or "").main_text(*kept[host]))
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(out, pa.string())], [id_col, url_col, "text"])
 
