@@ -22,8 +22,8 @@ def by_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def without_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group linked by five-word shingles at a similarity of 0.8 or more."""
-    return near_dedup.deduplicated(docs, width=5, similarity=(80, 100))
+    """One document of each group linked by five-word shingles at a similarity of 0.8 or more, and all without words."""
+    return near_dedup.deduplicated(docs, width=5, similarity=(80, 100), wordless=True)
 
 
 def without_benchmark(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

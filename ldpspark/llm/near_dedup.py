@@ -262,6 +262,11 @@ def near_duplicates(
     docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", width: int = 5, similarity: tuple[int, int] = (80, 100), k: int = K
 ) -> DataFrame:
     """id, th, n, component (least id of all documents linked to it) of every row. similarity: as a fraction."""
+    return _grouped(docs, id_col, text_col, width, similarity, k).drop("group")
+
+
+def _grouped(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 5, similarity: tuple[int, int] = (80, 100), k: int = K) -> DataFrame:
+    """The same with ``group``: the least class of a row's component, null only for rows without words."""
     num, den = similarity
     o = {"id_col": id_col, "text_col": text_col, "width": width}
     rows = C.stored(sketch(docs, **o, k=k), "sketches")
@@ -287,21 +292,24 @@ def near_duplicates(
     members = joined.join(classes.select(F.col("cls").alias("node"), "least"), "node")
     leasts = members.groupBy("label").agg(F.min("least").alias("component"))
     of_class = classes.select("cls", "least").join(members.select(F.col("node").alias("cls"), "label"), "cls", "left").join(leasts, "label", "left")
-    of_class = C.stored(of_class.select("cls", F.coalesce("component", "least").alias("component")), "members")
+    of_class = C.stored(of_class.select("cls", F.coalesce("component", "least").alias("component"), F.coalesce("label", "cls").alias("group")), "members")
     return rows.select("id", "th", "n", "cls").join(of_class, "cls", "left").select(
-        F.col("id").alias(id_col), "th", "n", F.when(F.col("cls").isNull(), F.col("id")).otherwise(F.col("component")).alias("component")
+        F.col("id").alias(id_col), "th", "n", F.when(F.col("cls").isNull(), F.col("id")).otherwise(F.col("component")).alias("component"), "group"
     )
 
 
-def deduplicated(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
-    """``docs`` (all columns) with one row of each component: the least id, and of its rows the first by text hash.
+def deduplicated(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", wordless: bool = False, **options) -> DataFrame:
+    """``docs`` (all columns) with one text of each component: the least id, and of its rows the first by text hash.
 
-    Rows without words stay, each on its own; rows of a component without ids are represented by their least text hash.
+    A component without ids is represented by its least text hash. Rows without words are in no component; with
+    ``wordless`` they stay, each on its own, else they go.
     """
-    found = near_duplicates(docs, id_col=id_col, text_col=text_col, **options)
-    keep = found.filter(F.col("n") > 0).groupBy("component").agg(F.min(F.struct(F.coalesce(F.col(id_col) != F.col("component"), F.lit(True)).alias("other"), F.col(id_col).alias("k_id"), F.col("th").alias("k_th"))).alias("x"))
+    found = _grouped(docs, id_col=id_col, text_col=text_col, **options)
+    keep = found.filter(F.col("n") > 0).groupBy("group").agg(F.min(F.struct(F.coalesce(F.col(id_col) != F.col("component"), F.lit(True)).alias("other"), F.col(id_col).alias("k_id"), F.col("th").alias("k_th"))).alias("x"))
     keep = C.stored(keep.select("x.k_id", "x.k_th").distinct(), "kept")
-    return docs.withColumn("_th", F.xxhash64(text_col)).join(keep, (F.col("_th") == F.col("k_th")) & F.col(id_col).eqNullSafe(F.col("k_id")), "left_semi").drop("_th")
+    kept = docs.withColumn("_th", F.xxhash64(text_col)).join(keep, (F.col("_th") == F.col("k_th")) & F.col(id_col).eqNullSafe(F.col("k_id")), "left_semi").drop("_th")
+    # the blanks between words, as in word_hashes
+    return kept.union(docs.filter(~F.coalesce(text_col, F.lit("")).rlike(r"[^\x20\x09-\x0D]"))) if wordless else kept
 
 
 def op7_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
