@@ -299,15 +299,20 @@ def _grouped(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", wi
 
 
 def deduplicated(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", wordless: bool = False, **options) -> DataFrame:
-    """``docs`` (all columns) with one text of each component: the least id, and of its rows the first by text hash.
+    """``docs`` (all columns) with one row of each component: the least id, and of its rows the first by text hash.
 
-    A component without ids is represented by its least text hash. Rows without words are in no component; with
+    Of rows with this id and text any one stays. A component without ids is represented by its least text hash. Rows without words are in no component; with
     ``wordless`` they stay, each on its own, else they go.
     """
     found = _grouped(docs, id_col=id_col, text_col=text_col, **options)
-    keep = found.filter(F.col("n") > 0).groupBy("group").agg(F.min(F.struct(F.coalesce(F.col(id_col) != F.col("component"), F.lit(True)).alias("other"), F.col(id_col).alias("k_id"), F.col("th").alias("k_th"))).alias("x"))
-    keep = C.stored(keep.select("x.k_id", "x.k_th").distinct(), "kept")
-    kept = docs.withColumn("_th", F.xxhash64(text_col)).join(keep, (F.col("_th") == F.col("k_th")) & F.col(id_col).eqNullSafe(F.col("k_id")), "left_semi").drop("_th")
+    one = F.struct(F.coalesce(F.col(id_col) != F.col("component"), F.lit(True)).alias("other"), F.col(id_col).alias("k_id"), F.col("th").alias("k_th"), "times")
+    keep = found.filter(F.col("n") > 0).groupBy("group", id_col, "component", "th").agg(F.count("*").alias("times")).groupBy("group").agg(F.min(one).alias("x"))
+    keep = C.stored(keep.groupBy("x.k_id", "x.k_th").agg(F.max("x.times").alias("times")), "kept")
+    rows, is_kept = docs.withColumn("_th", F.xxhash64(text_col)), (F.col("_th") == F.col("k_th")) & F.col(id_col).eqNullSafe(F.col("k_id"))
+    kept = rows.join(keep.filter("times = 1").select("k_id", "k_th"), is_kept, "left_semi")
+    # only what stands in several rows is moved to find one of them
+    several = C.small(C.stored(keep.filter("times > 1").select("k_id", "k_th"), "several"))
+    kept = kept.union(rows.join(several, is_kept, "left_semi").dropDuplicates([id_col, "_th"])).drop("_th")
     # the blanks between words, as in word_hashes
     return kept.union(docs.filter(~F.coalesce(text_col, F.lit("")).rlike(r"[^\x20\x09-\x0D]"))) if wordless else kept
 

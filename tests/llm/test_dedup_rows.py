@@ -20,3 +20,8 @@ def test_rows_without_words_stay(spark):
     rows = [(1, None, "a"), (2, "", "a"), (2, "", "b"), (3, " \t\n\x0b\x0c\r", "a"), (None, None, "a"), (4, " ", "a"), (5, "word", "a")]
     assert kept(spark, rows, wordless=True) == sorted(((i, t) for i, t, _ in rows), key=repr)
     assert kept(spark, rows) == [(4, " "), (5, "word")]
+
+
+def test_one_of_repeated_rows_stays(spark):
+    rows = [(7, COPY, "a")] * 5 + [(8, COPY + " more", "a")] + [(None, "text without id and " + COPY[::-1], "b")] * 40 + [(9, "once", "c"), (9, "once", "d"), (9, "not twice", "c")]
+    assert kept(spark, rows) == sorted([(7, COPY), (None, "text without id and " + COPY[::-1]), (9, "once"), (9, "not twice")], key=repr)
