@@ -21,6 +21,7 @@ from collections.abc import Iterable, Iterator
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql.types import BinaryType, StructField, StructType
 
 from . import common as C
 
@@ -212,31 +213,68 @@ def clean(
 ) -> DataFrame:
     """``docs`` (all columns) without contaminated documents, or with the hit spans cut out (``remove="spans"``).
 
-    A document is contaminated when it has a hit word and hit words are at least ``share`` of its words. A benchmark
-    over ``slice_bytes`` is applied slice by slice for spans; for documents it needs the totals, so it must fit.
+    A document is contaminated when it has a hit word and hit words are at least ``share`` of its words. With a benchmark
+    over ``slice_bytes`` the hits of all slices are gathered first, so the outcome doesn't depend on the slices.
     """
     where = docs.columns.index(text_col)
-    for k, items in enumerate(slices(benchmark, item_col, item_text_col, slice_bytes)):
-        if k and remove == "documents":
-            raise ValueError("benchmark over slice_bytes: join contamination() by a unique id instead")
-        shared = docs.sparkSession.sparkContext.broadcast(Index(items, n))
+    parts = slices(benchmark, item_col, item_text_col, slice_bytes)
+    first, second = next(parts), next(parts, None)
+
+    def cleaned(batch: pa.RecordBatch, texts: list[bytes | None], masks: list[np.ndarray]) -> pa.RecordBatch:
+        bad = [bool(h) and share[1] * h >= share[0] * len(m) for m, h in ((m, int(m.sum())) for m in masks)]
+        if remove == "documents":
+            return batch.filter(pa.array([not x for x in bad], pa.bool_()))
+        new = [cut(t, m).decode() if x else None if t is None else t.decode() for t, x, m in zip(texts, bad, masks, strict=True)]
+        columns = batch.columns
+        columns[where] = pa.array(new, batch.schema.field(where).type)
+        return pa.RecordBatch.from_arrays(columns, schema=batch.schema)
+
+    if second is None:
+        shared = docs.sparkSession.sparkContext.broadcast(Index(first, n))
 
-        def step(stream: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
+        def one(stream: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             C.own("decontamination", lambda: None)
             for batch in stream:
                 texts = C.binary_list(batch.column(where))
-                found = scan_texts(shared.value, texts)
-                bad = [bool(h) and share[1] * h >= share[0] * len(m) for m, h in ((m, int(m.sum())) for m, _ in found)]
-                if remove == "documents":
-                    yield batch.filter(pa.array([not x for x in bad]))
-                else:
-                    new = [cut(t, m).decode() if x else None if t is None else t.decode() for t, x, (m, _) in zip(texts, bad, found, strict=True)]
-                    columns = batch.columns
-                    columns[where] = pa.array(new, batch.schema.field(where).type)
-                    yield pa.RecordBatch.from_arrays(columns, schema=batch.schema)
-
-        docs = docs.mapInArrow(step, docs.schema)
-    return docs
+                yield cleaned(batch, texts, [m for m, _ in scan_texts(shared.value, texts)])
+
+        return docs.mapInArrow(one, docs.schema)
+
+    hits = "hits"
+    while hits in map(str.lower, docs.columns):
+        hits = "_" + hits
+    held = docs
+    for items in itertools.chain([first, second], parts):
+        held = C.stored(_marked(held, where, hits, Index(items, n)), "marked")
+
+    def last(stream: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        C.own("decontamination", lambda: None)
+        for batch in stream:
+            texts = C.binary_list(batch.column(where))
+            masks = [np.unpackbits(np.frombuffer(b, np.uint8), count=len(C.ascii_words(t))) for t, b in zip(texts, batch.column(batch.num_columns - 1).to_pylist(), strict=True)]
+            yield cleaned(pa.RecordBatch.from_arrays(batch.columns[:-1], schema=batch.schema.remove(batch.num_columns - 1)), texts, masks)
+
+    return held.mapInArrow(last, docs.schema)
+
+
+def _marked(held: DataFrame, where: int, hits: str, index: Index) -> DataFrame:
+    """``held`` with one slice's hits added to the bit maps of its last column ``hits``, which the first slice makes."""
+    shared = held.sparkSession.sparkContext.broadcast(index)
+    first = held.columns[-1] != hits
+    schema = StructType([*held.schema.fields, StructField(hits, BinaryType())]) if first else held.schema
+
+    def step(stream: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        C.own("decontamination", lambda: None)
+        for batch in stream:
+            bits = [np.packbits(m) for m, _ in scan_texts(shared.value, C.binary_list(batch.column(where)))]
+            columns = batch.columns
+            if not first:
+                bits = [b | np.frombuffer(o, np.uint8) for b, o in zip(bits, columns.pop().to_pylist(), strict=True)]
+            columns.append(pa.array([b.tobytes() for b in bits], pa.binary()))
+            fields = list(batch.schema)[: len(columns) - 1]
+            yield pa.RecordBatch.from_arrays(columns, schema=pa.schema([*fields, pa.field(hits, pa.binary())]))
+
+    return held.mapInArrow(step, schema)
 
 
 def op9_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
