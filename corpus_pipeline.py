@@ -12,8 +12,9 @@ from pyspark.sql import functions as F
 from ldpspark.llm import common, decontaminate, language_id, mixing, near_dedup, token_output
 from ldpspark.sources.ship import ship
 
-#: Least cosine with the chosen language: texts below it (next to no trigram of any language) and texts without letters go.
-LEAST_SCORE = 0.01
+#: Least cosine with the chosen language: twice the deviation of a text that shares no trigram with it. Texts below it and texts
+#: without letters go. Clean texts of one word come close to it (least of sf0.1: 0.034), so it can not be much higher.
+LEAST_SCORE = 2 / language_id.DIMENSIONS**0.5
 
 
 def by_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
