@@ -3,7 +3,7 @@
 A rule is a sequence of word patterns with a label, a priority (0 wins) and a keyword. Texts are brought to words, and
 each word of a text that holds any gate keyword gets its place: "licensed_4 under_5". Rules become regular expressions on
 that form whose groups catch the places of their first and last word, so detections are intervals of words. A rule runs
-only on texts that hold its keyword. Detections are swept by rising start, falling end and priority; one that lies within
+only on texts that hold its keyword or, where a match can lack that, words that every match has. Detections are swept by rising start, falling end and priority; one that lies within
 an earlier one of the same or a better priority is suppressed. The labels of the rest are the method's.
 
 All is done row by row in SQL functions; nothing is shuffled. The three base phrases are counted apart from the rules.
@@ -22,7 +22,7 @@ from . import common as C
 
 #: Fixed by the contract of the query: phrase and base label.
 BASE = [("cc by", "cc-by"), ("general public license", "gpl"), ("all rights reserved", "reserved")]
-#: A text without any of these holds no detection; every rule's keyword holds one of them.
+#: Gates of the rules' keywords; rules whose matches can lack their keyword have gates of their own (NEEDED).
 GATES = ["licen", "cc by", "rights reserved", "creative commons", "public domain", "cc0", "gpl", "copyright", "warrant", "copyleft"]
 L, V = "(?:license|licence)", "(?:version|v|ver)"
 #: Families: label, name as word patterns, words of its identifier, words of its address (or none).
@@ -93,8 +93,33 @@ def rarest(words: str) -> str:
     return f" {'spdx' if 'spdx' in plain else max(plain, key=lambda t: (t not in COMMON, len(t)))} " if plain else " "
 
 
-def rules() -> list[tuple[int, str, int, str, str, str]]:
-    """(order, label, priority, keyword, rarest word, regular expression) of every rule, best priority first."""
+def _spellings(token: str) -> list[str] | None:
+    """Texts that a word pattern stands for, if it is a plain word or a choice of such; `` ?`` in it is a blank or nothing."""
+    choice = re.fullmatch(r"\(\?:([^()]*)\)", token)
+    parts = choice[1].split("|") if choice else [token]
+    if not all(re.fullmatch("[a-z0-9\x01]+", x) for x in parts):
+        return None
+    return [y for x in parts for y in ([x.replace("\x01", ""), x.replace("\x01", " ")] if "\x01" in x else [x])]
+
+
+def needed(words: str, keyword: str) -> list[str]:
+    """Texts of which every match of a rule holds one: its keyword, if all matches hold that, else its longest run of words."""
+    runs: list[list[str]] = []
+    tokens = [None if _optional(t) else _spellings(t) for t in words.replace(" ?", "\x01").split(" ")]
+    for lo in range(len(tokens)):
+        run = [""]
+        for spelt in tokens[lo:]:
+            if spelt is None or len(run) * len(spelt) > 6:
+                break
+            run = [f"{x} {y}" for x in run for y in spelt]
+            runs.append([f"{x} " for x in run])
+    if any(all(keyword in x for x in run) for run in runs):
+        return [keyword]
+    return max(runs, key=lambda run: (min(map(len, run)), -len(run)))
+
+
+def patterns() -> list[tuple[str, int, str, str]]:
+    """(label, priority, keyword, words) of every rule."""
     made: list[tuple[str, int, str, str]] = [*NOTICES]
     grant = "(?:licensed|released|distributed|available|published|provided|covered|redistributed) (?:under|by|with) the? terms? of? the?"
     for label, name, tag, address in FAMILIES:
@@ -112,11 +137,20 @@ def rules() -> list[tuple[int, str, int, str, str, str]]:
         made.append((f"cc-{part}", 1, "cc by", f"cc {part}".replace("-", " ")))
         made.append((f"cc-{part}", 1, "creative commons", f"creative commons {name}"))
         made.append((f"cc-{part}", 1, "licen", f"creativecommons org licenses {part}".replace("-", " ")))
-    unique = dict.fromkeys((label, prio, word, rarest(p), numbered(p)) for label, prio, word, p in made)
+    return made
+
+
+def rules() -> list[tuple[int, str, int, str, str, str]]:
+    """(order, label, priority, keyword, rarest word, regular expression) of every rule, best priority first."""
+    unique = dict.fromkeys((label, prio, word, rarest(p), numbered(p)) for label, prio, word, p in patterns())
     return [(k, *r) for k, r in enumerate(sorted(unique, key=lambda r: r[1]))]
 
 
 RULES = rules()
+#: Gates of a rule by keyword and regular expression, and of all rules: a text without any of these holds no detection.
+NEEDED = {(word, numbered(p)): needed(p, word) for _, _, word, p in patterns()}
+_ALL = dict.fromkeys([*GATES, *(x for held in NEEDED.values() for x in held)])
+ANY = [x for x in _ALL if not any(y in x and y != x for y in _ALL)]
 CONFIDENCE = {0: 1.0, 1: 0.9, 2: 0.6}
 
 
@@ -124,6 +158,10 @@ def _sql(text: str) -> str:
     return "r'" + text.replace("'", r"\'") + "'"
 
 
+def _words(texts: list[str]) -> str:
+    return ", ".join(f"'{x}'" for x in texts)
+
+
 def scan(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """id, n_words, n_base, first_word, last_word, base_labels and labels (arrays), score, detections of every row.
 
@@ -132,11 +170,11 @@ def scan(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text") ->
     flat = F.trim(F.regexp_replace(F.lower(F.coalesce(text_col, F.lit(""))), C.NON_WORD, " "))
     rows = docs.select(F.col(id_col), flat.alias("flat")).withColumn("norm", F.concat(F.lit(" "), "flat", F.lit(" ")))
     n_words = F.when(F.col("flat") == "", 0).otherwise(F.length("flat") - F.length(F.replace("flat", F.lit(" "), F.lit(""))) + 1).cast("long")
-    gate = " OR ".join(f"contains(norm, '{g}')" for g in GATES)
+    gate = " OR ".join(f"contains(norm, '{g}')" for g in ANY)
     rows = rows.select(id_col, "norm", n_words.alias("n_words"), F.expr(f"CASE WHEN {gate} THEN concat(' ', array_join(transform(split(trim(norm), ' '), (w, i) -> concat(w, '_', i)), ' ')) END").alias("placed"))
     base = [f"transform(regexp_extract_all(placed, {_sql(numbered(p))}, 1), x -> struct(cast(x as bigint) as at, '{label}' as label))" for p, label in BASE]
-    table = ", ".join(f"struct({k} as k, '{label}' as label, {prio} as prio, '{word}' as word, '{rare}' as rare, {_sql(p)} as p)" for k, label, prio, word, rare, p in RULES)
-    found = f"""flatten(transform(filter(array({table}), r -> contains(norm, r.rare) AND contains(norm, r.word)), r -> zip_with(
+    table = ", ".join(f"struct({k} as k, '{label}' as label, {prio} as prio, array({_words(NEEDED[word, p])}) as needed, '{rare}' as rare, {_sql(p)} as p)" for k, label, prio, word, rare, p in RULES)
+    found = f"""flatten(transform(filter(array({table}), r -> contains(norm, r.rare) AND exists(r.needed, w -> contains(norm, w))), r -> zip_with(
         regexp_extract_all(placed, r.p, 1), regexp_extract_all(placed, r.p, 2),
         (a, b) -> struct(cast(a as int) as first, -cast(b as int) as neg, r.prio as prio, r.k as k, r.label as label))))"""
     swept = """aggregate(sort_array(found), struct(-1 as m0, -1 as m1, -1 as m2, cast(array() as array<struct<first:int,last:int,prio:int,label:string>>) as kept),
