@@ -4,12 +4,11 @@ A token is an element (its path of tags, classes and ids) or a text on such a pa
 it stands on each page of a host. Vectors aren't built: a token's vector is known by the xor of a 64-bit hash of (page,
 count) over its pages, which partial aggregates form in any order, so a host with a third of all pages is no hot spot.
 Pages of a host with the same content are one page. Tokens of a host with equal vectors form a class; a class is valid with at least ``LEAST_TOKENS`` tokens, on ``LEAST_PAGES``
-pages and on a share ``LEAST_SHARE`` of the host's pages. Valid classes nest by the paths of their tokens (a class's
-slots hold the classes whose paths go on from its own) and make up the host's template; text that is no template token
-is what fills its slots.
+pages and on a share ``LEAST_SHARE`` of the host's pages. The tokens of all valid classes of a host, as one set, are its
+template. Classes are not ordered or nested and no slots are built: what isn't in the set counts as the pages' own text.
 
-Which slots hold the article: those below the element that says so (article, main, an article body), where a page has
-one, else below the element that holds most of the slots' text outside links. Elements that are by tag, role, class or
+Elements decide where the article is: below the one that says so (article, main, an article body), where a page has
+one, else below the one that holds most of the pages' own text outside links. Elements that are by tag, role, class or
 id menus, headers, footers, sidebars, notices, adverts, forms, comments or the like are left out with all they hold;
 so are template texts (in a declared article only those that nearly all of at least ``SURE_PAGES`` pages share).
 
@@ -173,7 +172,7 @@ class Page:
         return size
 
     def main_text(self, template: frozenset[int], sure: frozenset[int], most: frozenset[int] = frozenset()) -> str:
-        """Text of the article's slots. template: the host's template tokens; most: those that nearly all pages have; sure: those of them dropped from a declared article.
+        """Text of the article. template: the host's template tokens; most: those that nearly all pages have; sure: those of them dropped from a declared article.
 
         Where no text would be left, a declared article is kept whole, and elsewhere only ``most`` is dropped.
         """
