@@ -62,13 +62,15 @@ def small_batches(spark: SparkSession) -> None:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that the cluster shares (spark.checkpoint.dir); a temporary one only where none is set."""
+    """The folder that the cluster shares (spark.checkpoint.dir); a temporary one only where none is set and all runs on one machine."""
     small_batches(spark)
     path = spark.conf.get("spark.checkpoint.dir", None)
     if not path:
         held = spark.sparkContext._jsc.sc().getCheckpointDir()
         path = held.get() if held.isDefined() else None
     if not path:
+        if not spark.sparkContext.master.startswith("local[") and spark.sparkContext.master != "local":
+            raise ValueError("spark.checkpoint.dir must name a folder that the driver and all executors share")
         path = tempfile.mkdtemp(prefix="shared-")
         spark.sparkContext.setCheckpointDir(path)
     return path.rstrip("/")
@@ -104,6 +106,12 @@ def uniform(*parts: Column) -> Column:
     return F.conv(F.substring(F.md5(key), 1, 13), 16, 10).cast("long") / F.lit(float(1 << 52))
 
 
-def small(df: DataFrame, rows: int = 200_000) -> DataFrame:
-    """``df``, a stored table of few columns, with a broadcast hint if it is counted to have at most ``rows`` rows."""
-    return F.broadcast(df) if df.limit(rows + 1).count() <= rows else df
+def small(df: DataFrame, rows: int = 200_000, weight: Column | None = None) -> DataFrame:
+    """``df``, a stored table, with a broadcast hint if it is counted to have at most ``rows`` rows.
+
+    weight: values of a row, for tables with arrays; then their sum is held to ten times ``rows`` as well.
+    """
+    if weight is None:
+        return F.broadcast(df) if df.limit(rows + 1).count() <= rows else df
+    n, values = df.agg(F.count("*"), F.sum(weight)).first()
+    return F.broadcast(df) if n <= rows and (values or 0) <= 10 * rows else df
