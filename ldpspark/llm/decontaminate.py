@@ -2,14 +2,15 @@
 
 Words are lower-cased runs of letters and digits (every non-ASCII byte counts as a letter). A window is ``n``
 consecutive words of a benchmark item; an item with fewer words, but at least one, is one window of its length.
-The vocabulary of the benchmark maps words to small numbers; a document window can only match where all its words are
-in that vocabulary, its 64-bit polynomial hash is in the sorted hash set, and the word numbers are equal (verified).
+Word hashes are sums over bytes, window hashes differences of running sums over word hashes; a document window whose hash is
+in the sorted hash set is verified by the words themselves.
 
 Defined results: null and empty texts have no words and are clean; null items and items without words have no window;
 a null item id counts as the empty text; repeated rows are judged one by one; an empty benchmark leaves all clean.
 
-The index of the benchmark goes to every task. Its size is bounded by ``slice_bytes`` of benchmark text: a larger
-benchmark is taken in slices, one pass over the documents each, the hit words being kept as a bit map between passes.
+The index of the benchmark goes to every task. It is made of flat arrays, at most ``INDEX_BYTES`` for each byte of benchmark
+text, and bounded by ``slice_bytes`` of that: a larger benchmark is taken in slices (an item longer than that in overlapping
+parts), one pass over the documents each, the hit words being kept as a bit map between passes.
 """
 
 from __future__ import annotations
@@ -17,6 +18,7 @@ from __future__ import annotations
 import itertools
 import re
 from collections.abc import Iterable, Iterator
+from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
@@ -24,111 +26,170 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql.types import BinaryType, StructField, StructType
 
 from . import common as C
-
-SLICE_BYTES = 32 << 20
-BASE = np.uint64(0x9E3779B97F4A7C15)
+from .words import M1, SEGMENT, word_hashes
+
+SLICE_BYTES = 16 << 20
+#: One window has 20 bytes of arrays and its word at least two of text; a text is held once more.
+INDEX_BYTES = 11
+#: Words of a document whose windows are hashed at a time.
+CHUNK = 1 << 18
+STEP = np.uint64(0xD1342543DE82EF95)
 WORD = re.compile(rb"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+")
 
 
+@lru_cache(maxsize=1)
+def _powers(size: int) -> tuple[np.ndarray, np.ndarray]:
+    odd = int(STEP)
+    return np.cumprod(np.full(size, odd, np.uint64)), np.cumprod(np.full(size, pow(odd, -1, 1 << 64), np.uint64))
+
+
+def window_hashes(words: np.ndarray, size: int) -> np.ndarray:
+    """Hash of each run of ``size`` words: differences of a running sum of mixed word hashes times powers of an odd number."""
+    if len(words) < size:
+        return words[:0]
+    mixed = (words ^ (words >> np.uint64(29))) * M1
+    n = len(words)
+    power, inverse = _powers(max(CHUNK + 64, n))
+    total = np.zeros(n + 1, np.uint64)
+    np.cumsum(mixed * power[:n], out=total[1:])
+    h = (total[size:] - total[:-size]) * inverse[: n - size + 1]
+    return h ^ (h >> np.uint64(32))
+
+
+class Windows:
+    """The windows of one length of some items: sorted hashes with the item and the place in the words' text of each."""
+
+    def __init__(self, items: list[tuple[int, bytes]], size: int):
+        self.size, self.text = size, b" ".join(t for _, t in items)
+        words, starts = word_hashes(self.text)
+        owner = np.repeat(np.array([k for k, _ in items], np.int32), [t.count(b" ") + 1 for _, t in items])
+        part = np.repeat(np.arange(len(items), dtype=np.int32), [t.count(b" ") + 1 for _, t in items])
+        at = np.flatnonzero(part[size - 1 :] == part[: len(part) - size + 1])
+        h = np.concatenate([window_hashes(words[lo : lo + CHUNK + size - 1], size) for lo in range(0, len(words) - size + 1, CHUNK)])[at]
+        order = np.lexsort((owner[at], h))
+        h, at = h[order], at[order]
+        # an item holds a window once
+        first = np.ones(len(h), bool)
+        first[1:] = (h[1:] != h[:-1]) | (owner[at][1:] != owner[at][:-1])
+        again = np.flatnonzero(~first)
+        for j in range(size):
+            first[again] |= words[at[again] + j] != words[at[again - 1] + j]
+        self.hashes, at = h[first], at[first]
+        self.owner, self.lo = owner[at], starts[at].astype(np.int32)
+        self.hi = np.append(starts[1:] - 1, len(self.text))[at + size - 1].astype(np.int32)
+        self.bits = max(16, min(25, len(self.hashes).bit_length() + 3))
+        self.seen: np.ndarray | None = None
+
+    def __getstate__(self) -> dict:
+        return self.__dict__ | {"seen": None}
+
+    def places(self, hashes: np.ndarray) -> np.ndarray:
+        """Where hashes are those of a window; a table of their first bits passes few others on to the search."""
+        if self.seen is None:
+            self.seen = np.zeros(1 << self.bits, bool)
+            self.seen[self.hashes >> np.uint64(64 - self.bits)] = True
+        at = np.flatnonzero(self.seen[hashes >> np.uint64(64 - self.bits)])
+        near = np.minimum(np.searchsorted(self.hashes, hashes[at]), len(self.hashes) - 1)
+        return at[self.hashes[near] == hashes[at]]
+
+    def owners(self, code: np.uint64, words: bytes) -> set[int]:
+        """Items with a window of this hash and these words (joined by blanks)."""
+        lo, hi = np.searchsorted(self.hashes, code), np.searchsorted(self.hashes, code, "right")
+        return {int(self.owner[k]) for k in range(lo, hi) if self.text[self.lo[k] : self.hi[k]] == words}
+
+
 class Index:
     """Windows of some benchmark items, by length."""
 
     def __init__(self, items: Iterable[tuple[object, str | None]], n: int = 13):
-        self.vocabulary: dict[bytes, int] = {}
         self.names: list[str] = []
-        exact: dict[int, dict[bytes, list[int]]] = {}
+        held: dict[int, list[tuple[int, bytes]]] = {}
         for name, text in items:
             words = C.ascii_words((text or "").encode())
-            if not words:
-                continue
-            ids = np.array([self.vocabulary.setdefault(w, len(self.vocabulary) + 1) for w in words], np.uint64)
-            size, k = min(n, len(ids)), len(self.names)
-            self.names.append("" if name is None else str(name))
-            found = exact.setdefault(size, {})
-            for i in range(len(ids) - size + 1):
-                owners = found.setdefault(ids[i : i + size].tobytes(), [])
-                if not owners or owners[-1] != k:
-                    owners.append(k)
-        self.exact = exact
-        self.hashes = {}
-        for size, found in exact.items():
-            ids = np.frombuffer(b"".join(found), np.uint64).reshape(-1, size)
-            self.hashes[size] = np.unique(_hash(ids.T))
-
-    def scan(self, ids: np.ndarray) -> tuple[np.ndarray, list[tuple[int, int, list[int]]]]:
-        """Mask of hit words, and (start, size, items) of each verified window. ids: 0 for words not in the index."""
-        hit = np.zeros(len(ids) + 1, np.int32)
-        known = np.concatenate(([0], np.cumsum(ids != 0)))
-        places = []
-        for size, hashes in self.hashes.items():
-            if len(ids) < size:
-                continue
-            at = np.flatnonzero(known[size:] - known[:-size] == size)
-            if not len(at):
-                continue
-            codes = _hash([ids[at + j] for j in range(size)])
-            near = np.minimum(np.searchsorted(hashes, codes), len(hashes) - 1)
-            for i in at[hashes[near] == codes].tolist():
-                owners = self.exact[size].get(ids[i : i + size].tobytes())
-                if owners:
-                    hit[i] += 1
-                    hit[i + size] -= 1
-                    places.append((i, size, owners))
-        return np.cumsum(hit[:-1]) > 0, places
-
-
-def _hash(columns) -> np.ndarray:
-    out = np.zeros(len(columns[0]), np.uint64)
-    for x in columns:
-        out = (out + x) * BASE
-        out ^= out >> np.uint64(29)
-    return out
+            if words:
+                held.setdefault(min(n, len(words)), []).append((len(self.names), b" ".join(words)))
+                self.names.append("" if name is None else str(name))
+        self.windows = [Windows(x, size) for size, x in sorted(held.items())]
+
+    def nbytes(self) -> int:
+        return sum(len(w.text) + sum(x.nbytes for x in (w.hashes, w.owner, w.lo, w.hi)) for w in self.windows)
 
 
 def scan_texts(index: Index, texts: list[bytes | None]) -> list[tuple[np.ndarray, set[int]]]:
     """For each text: mask over its words, and the numbers of items that occur. Texts are joined in blocks."""
     out: list[tuple[np.ndarray, set[int]]] = []
-    get, zero = index.vocabulary.get, itertools.repeat(0)
-
-    def flush(block: list[list[int]]) -> None:
-        starts = np.cumsum([0, *(len(x) + 1 for x in block)])
-        ids = np.zeros(starts[-1], np.uint64)
-        for s, x in zip(starts, block, strict=False):
-            ids[s : s + len(x)] = x
-        mask, places = index.scan(ids)
-        items: list[set[int]] = [set() for _ in block]
-        if places:
-            for (_, _, owners), k in zip(places, np.searchsorted(starts, [p[0] for p in places], "right") - 1, strict=True):
-                items[k].update(owners)
-        out.extend((mask[s : s + len(x)], found) for s, x, found in zip(starts, block, items, strict=False))
-
-    block, size = [], 0
-    for text in texts:
-        words = C.ascii_words(text)
-        block.append(list(map(get, words, zero)))
-        size += len(words)
-        if size > 200_000:
-            flush(block)
-            block, size = [], 0
-    if block:
-        flush(block)
+    lo = size = 0
+    for k, text in enumerate(texts):
+        size += len(text or b"")
+        if size >= SEGMENT or k + 1 == len(texts):
+            out += _scan_block(index, [t or b"" for t in texts[lo : k + 1]])
+            lo, size = k + 1, 0
     return out
 
 
-def slices(benchmark: DataFrame, item_col: str, text_col: str, slice_bytes: int) -> Iterator[list[tuple[object, str]]]:
-    """Items in lists of at most ``slice_bytes`` of text (a longer item alone); the driver holds one list at a time."""
+def _scan_block(index: Index, texts: list[bytes]) -> list[tuple[np.ndarray, set[int]]]:
+    block = b"\n".join(texts).translate(C.WORD_TABLE)
+    words, starts = word_hashes(block)
+    bounds = np.searchsorted(starts, np.cumsum([0, *(len(t) + 1 for t in texts)]))
+    hit = np.zeros(len(words) + 1, np.int32)
+    items: list[set[int]] = [set() for _ in texts]
+    for w in index.windows:
+        known: dict[tuple[int, bytes], set[int]] = {}
+        for lo in range(0, len(words) - w.size + 1, CHUNK):
+            codes = window_hashes(words[lo : lo + CHUNK + w.size - 1], w.size)
+            for i in w.places(codes).tolist():
+                at = lo + i
+                k = int(np.searchsorted(bounds, at, "right")) - 1
+                if at + w.size > bounds[k + 1]:
+                    continue  # across two texts
+                end = starts[at + w.size] if at + w.size < len(starts) else len(block)
+                own = b" ".join(block[starts[at] : end].split())
+                key = (int(codes[i]), own)
+                if key not in known:
+                    known[key] = w.owners(codes[i], own)
+                if known[key]:
+                    hit[at] += 1
+                    hit[at + w.size] -= 1
+                    items[k] |= known[key]
+    mask = np.cumsum(hit[:-1]) > 0
+    return [(mask[a:b], x) for a, b, x in zip(bounds[:-1].tolist(), bounds[1:].tolist(), items, strict=True)]
+
+
+def slices(benchmark: DataFrame, item_col: str, text_col: str, slice_bytes: int, n: int) -> Iterator[list[tuple[object, str]]]:
+    """Items in lists of at most ``slice_bytes`` of text; the driver holds one list at a time.
+
+    A longer item is cut into parts that share ``n`` - 1 words, so that each of its windows is whole in one.
+    """
     held, size = [], 0
     for row in benchmark.select(item_col, text_col).toLocalIterator():
-        if row[1] is None:
-            continue
-        if held and size + len(row[1]) > slice_bytes:
-            yield held
-            held, size = [], 0
-        held.append((row[0], row[1]))
-        size += len(row[1])
+        for part, own in _parts(row[1] or "", slice_bytes, n):
+            if held and size + own > slice_bytes:
+                yield held
+                held, size = [], 0
+            held.append((row[0], part))
+            size += own
     yield held
 
 
+def _parts(text: str, most: int, n: int) -> Iterator[tuple[str, int]]:
+    raw = text.encode()
+    if len(raw) <= most:
+        if raw:
+            yield text, len(raw)
+        return
+    words = C.ascii_words(raw)
+    lo = 0
+    while lo == 0 or lo + n - 1 < len(words):
+        hi, size = min(lo + n, len(words)), sum(len(w) + 1 for w in words[lo : lo + n])
+        while hi < len(words) and size + len(words[hi]) < most:
+            size += len(words[hi]) + 1
+            hi += 1
+        yield b" ".join(words[lo:hi]).decode(), size
+        if hi == len(words):
+            return
+        lo = hi - n + 1
+
+
 def contamination(
     docs: DataFrame, benchmark: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id",
     item_text_col: str = "text", n: int = 13, slice_bytes: int = SLICE_BYTES,
@@ -136,7 +197,7 @@ def contamination(
     """One row per document: id, n_words, n_hit, items (sorted distinct ids as text)."""
     id_type = docs.schema[id_col].dataType.simpleString()
     schema = f"`{id_col}` {id_type}, n_words bigint, n_hit bigint, items array<string>"
-    parts = slices(benchmark, item_col, item_text_col, slice_bytes)
+    parts = slices(benchmark, item_col, item_text_col, slice_bytes, n)
     first, second = next(parts), next(parts, None)
     if second is None:
         index = Index(first, n)
@@ -217,7 +278,7 @@ def clean(
     over ``slice_bytes`` the hits of all slices are gathered first, so the outcome doesn't depend on the slices.
     """
     where = docs.columns.index(text_col)
-    parts = slices(benchmark, item_col, item_text_col, slice_bytes)
+    parts = slices(benchmark, item_col, item_text_col, slice_bytes, n)
     first, second = next(parts), next(parts, None)
 
     def cleaned(batch: pa.RecordBatch, texts: list[bytes | None], masks: list[np.ndarray]) -> pa.RecordBatch:
@@ -233,7 +294,7 @@ def clean(
         shared = docs.sparkSession.sparkContext.broadcast(Index(first, n))
 
         def one(stream: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            C.own("decontamination", lambda: None)
+            C.own("decontamination", _powers.cache_clear)
             for batch in stream:
                 texts = C.binary_list(batch.column(where))
                 yield cleaned(batch, texts, [m for m, _ in scan_texts(shared.value, texts)])
@@ -248,7 +309,7 @@ def clean(
         held = C.stored(_marked(held, where, hits, Index(items, n)), "marked")
 
     def last(stream: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        C.own("decontamination", lambda: None)
+        C.own("decontamination", _powers.cache_clear)
         for batch in stream:
             texts = C.binary_list(batch.column(where))
             masks = [np.unpackbits(np.frombuffer(b, np.uint8), count=len(C.ascii_words(t))) for t, b in zip(texts, batch.column(batch.num_columns - 1).to_pylist(), strict=True)]
@@ -264,7 +325,7 @@ def _marked(held: DataFrame, where: int, hits: str, index: Index) -> DataFrame:
     schema = StructType([*held.schema.fields, StructField(hits, BinaryType())]) if first else held.schema
 
     def step(stream: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        C.own("decontamination", lambda: None)
+        C.own("decontamination", _powers.cache_clear)
         for batch in stream:
             bits = [np.packbits(m) for m, _ in scan_texts(shared.value, C.binary_list(batch.column(where)))]
             columns = batch.columns

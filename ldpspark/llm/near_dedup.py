@@ -24,7 +24,6 @@ are kept apart by their texts; a null id is left out of the least id of a compon
 from __future__ import annotations
 
 import math
-import re
 from collections.abc import Iterator
 from functools import lru_cache
 
@@ -36,50 +35,14 @@ from pyspark.sql import functions as F
 
 from . import common as C
 from .components import components
+from .words import SEGMENT, _tables, word_hashes
 
 K, MISS = 40, 1e-10
 #: Classes and values of a block, columns of an incidence matrix at a time.
 BLOCK, BLOCK_VALUES, COLUMNS, SLICE = 512, 400_000, 4096, 512
-SEGMENT, BLANK = (1 << 19) - (1 << 12), re.compile(rb"[\x20\x09-\x0D]")
 M1, M2, M3 = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB)
 
 
-@lru_cache(maxsize=2)
-def _tables(size: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """Random number of each byte, powers of an odd number and of its inverse modulo 2^64, and which bytes are blank."""
-    random = np.random.default_rng(20).integers(0, 1 << 63, 256, np.uint64) * np.uint64(2) + np.uint64(1)
-    odd = int(M1)
-    power = np.cumprod(np.full(size, odd, np.uint64)) * np.uint64(pow(odd, -1, 1 << 64))
-    inverse = np.cumprod(np.full(size, pow(odd, -1, 1 << 64), np.uint64)) * M1
-    blank = np.zeros(256, bool)
-    blank[[32, *range(9, 14)]] = True
-    return random, power, inverse, blank
-
-
-def word_hashes(raw: bytes) -> tuple[np.ndarray, np.ndarray]:
-    """64-bit hash and start of each word of a lower-cased text: differences of running sums of byte number * power.
-
-    Long texts are taken in segments that end between words, so what is held at once doesn't grow with them.
-    """
-    hashes, starts, at = [np.zeros(0, np.uint64)], [np.zeros(0, np.int64)], 0
-    while at < len(raw):
-        end = at + SEGMENT
-        if end < len(raw):
-            found = BLANK.search(raw, end)
-            end = found.start() if found else len(raw)
-        a = np.frombuffer(raw, np.uint8, min(end, len(raw)) - at, at)
-        random, power, inverse, blank = _tables(1 << max(19, len(a).bit_length()))
-        inside = np.zeros(len(a) + 2, bool)
-        inside[1:-1] = ~blank[a]
-        first, last = np.flatnonzero(inside[1:-1] & ~inside[:-2]), np.flatnonzero(inside[1:-1] & ~inside[2:])
-        total = np.zeros(len(a) + 1, np.uint64)
-        np.cumsum(random[a] * power[: len(a)], out=total[1:])
-        hashes.append((total[last + 1] - total[first]) * inverse[first])
-        starts.append(first + at)
-        at = end
-    return np.concatenate(hashes), np.concatenate(starts)
-
-
 def _combined(words: np.ndarray, width: int) -> np.ndarray:
     """Hash of each run of ``width`` words."""
     h = np.full(len(words) - width + 1, width, np.uint64)
