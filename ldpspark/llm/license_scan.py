@@ -191,6 +191,8 @@ RULES = rules()
 NEEDED = {(word, numbered(p)): needed(p, word) for _, _, word, p in patterns()}
 _ALL = dict.fromkeys([*GATES, *(x for held in NEEDED.values() for x in held)])
 ANY = [x for x in _ALL if not any(y in x and y != x for y in _ALL)]
+#: Of the other gates, the longest telling word of each: a text without these words holds none of them.
+KEYS = sorted({max(x.split(), key=lambda t: (t not in COMMON, len(t), t)) for x in ANY if x not in GATES})
 CONFIDENCE = {0: 1.0, 1: 0.9, 2: 0.6}
 
 
@@ -207,10 +209,15 @@ def scan(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text") ->
 
     detections: the unsuppressed ones, as (first, last, priority, label), in order.
     """
-    flat = F.trim(F.regexp_replace(F.translate(F.coalesce(text_col, F.lit("")), C.UPPER, C.LOWER), C.NON_WORD, " "))
+    text = F.coalesce(text_col, F.lit(""))
+    # letters are lowered one by one only where some are beyond ASCII
+    lowered = F.when(F.octet_length(text) == F.length(text), F.lower(text)).otherwise(F.translate(text, C.UPPER, C.LOWER))
+    flat = F.trim(F.regexp_replace(lowered, C.NON_WORD, " "))
     rows = docs.select(F.col(id_col), flat.alias("flat")).withColumn("norm", F.concat(F.lit(" "), "flat", F.lit(" ")))
     n_words = F.when(F.col("flat") == "", 0).otherwise(F.length("flat") - F.length(F.replace("flat", F.lit(" "), F.lit(""))) + 1).cast("long")
-    gate = " OR ".join(f"contains(norm, '{g}')" for g in ANY)
+    held = " OR ".join(f"contains(norm, '{g}')" for g in ANY if g in GATES)
+    other = " OR ".join(f"contains(norm, '{g}')" for g in ANY if g not in GATES)
+    gate = f"{held} OR (arrays_overlap(split(flat, ' '), array({_words(KEYS)})) AND ({other}))"
     rows = rows.select(id_col, "norm", n_words.alias("n_words"), F.expr(f"CASE WHEN {gate} THEN concat(' ', array_join(transform(split(trim(norm), ' '), (w, i) -> concat(w, '_', i)), ' ')) END").alias("placed"))
     base = [f"transform(regexp_extract_all(placed, {_sql(numbered(p))}, 1), x -> struct(cast(x as bigint) as at, '{label}' as label))" for p, label in BASE]
     table = ", ".join(f"struct({k} as k, '{label}' as label, {prio} as prio, array({_words(NEEDED[word, p])}) as needed, '{rare}' as rare, {_sql(p)} as p)" for k, label, prio, word, rare, p in RULES)

@@ -50,3 +50,8 @@ def test_many_detections_take_linear_time(spark):
         assert L.scan(df).first()["n_base"] == n
         took.append(time.time() - start)
     assert took[1] < 8 * took[0] + 2 and took[1] < 30
+
+
+def test_keys_hold_for_all_other_gates():
+    assert all(any(f" {k} " in f" {x.strip()} " for k in L.KEYS) for x in L.ANY if x not in L.GATES)
+    assert all(x in L.ANY or any(y in x for y in L.ANY) for x in L.GATES)
