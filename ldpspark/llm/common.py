@@ -115,3 +115,17 @@ def small(df: DataFrame, rows: int = 200_000, weight: Column | None = None) -> D
         return F.broadcast(df) if df.limit(rows + 1).count() <= rows else df
     n, values = df.agg(F.count("*"), F.sum(weight)).first()
     return F.broadcast(df) if n <= rows and (values or 0) <= 10 * rows else df
+
+
+def join_counted(rows: DataFrame, counted: DataFrame, key: str, count: str, share: int = 50_000) -> DataFrame:
+    """Inner join of ``rows`` with the stored table ``counted`` (one row a key, ``count`` the rows that hold it).
+
+    Keys that hold over one in ``share`` of all rows, at most ``share`` of them whatever the data, are broadcast, so no
+    task gets all rows of a hot key; the others are joined as Spark sees fit.
+    """
+    total = counted.agg(F.sum(count)).first()[0] or 0
+    hot = F.col(count) > total / share
+    if not counted.filter(hot).limit(1).count() or counted.limit(share + 1).count() <= share:
+        return rows.join(small(counted, share), key)
+    heavy = F.broadcast(counted.filter(hot))
+    return rows.join(heavy, key).union(rows.join(heavy.select(key), key, "left_anti").join(counted.filter(~hot), key))

@@ -152,13 +152,14 @@ def pieces(texts: list[bytes | None], most: int = 1 << 20) -> Iterator[tuple[int
 def fit(labelled: DataFrame, *, id_col: str, text_col: str, lang_col: str, per_language: int, alphabet: int, dimensions: int, seed: int) -> Model:
     """Prototypes of the languages in ``labelled``. The driver holds letter counts and one vector a language."""
     spark = labelled.sparkSession
-    counts = {r[0]: r[1] for r in labelled.groupBy(lang_col).count().toLocalIterator()}
+    labelled = labelled.select(F.col(id_col).alias("id"), F.col(lang_col).alias("lang"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
+    counts = {r[0]: r[1] for r in labelled.groupBy("lang").count().toLocalIterator()}
     languages = sorted(counts)
     if not languages:
         return Model([], [], alphabet, dimensions, np.zeros((0, 0), np.float32))
     share = spark.createDataFrame([(x, min(1.0, per_language / counts[x])) for x in languages], "l string, share double")
-    drawn = labelled.join(F.broadcast(share), F.col(lang_col) == F.col("l")).filter(C.uniform(F.lit("lang"), F.lit(seed), F.col(id_col)) < F.col("share"))
-    drawn = C.stored(drawn.select(F.col(lang_col).alias("lang"), F.coalesce(F.col(text_col), F.lit("")).alias("text")), "language-sample")
+    drawn = labelled.join(F.broadcast(share), F.col("lang") == F.col("l")).filter(C.uniform(F.lit("lang"), F.lit(seed), F.col("id")) < F.col("share"))
+    drawn = C.stored(drawn.select("lang", "text"), "language-sample")
 
     def count(stream: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total: Counter = Counter()

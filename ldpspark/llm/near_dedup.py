@@ -13,9 +13,11 @@ Lists make links in two rounds. First the most central class of each list (large
 is paired with all others; pairs whose sizes allow the similarity and whose bottom-k sketch of the union shows enough
 common values are decided on the full sets, built anew from both texts. This joins groups of copies by a linear number
 of pairs. Where a list's classes are then still in different components, they are compared with each other: all lists
-with the same central class form one group (so a class is in few groups, not in one for each value), a group is dealt
-out in pairs of blocks of bounded size, and a task finds all intersections of its two blocks' full sets by a product of
-their incidence matrices. It returns links that join components, a forest, not the pairs. No pair of a list is left out.
+with the same central class form one group (so a class is in few groups, not in one for each value). A group is cut into
+blocks of bounded size, each of one component or of several small ones, and dealt out in pairs of blocks that don't lie in
+the same component; the full sets of its classes are built once, and a task finds all intersections of its two blocks' sets
+by a product of their incidence matrices. It returns links that join components, a forest, not the pairs. No pair of a list
+is left out. Values that very many classes hold are joined by broadcast; there are few of them by their count.
 
 Defined results: null texts and texts without words have an empty set and are linked with nothing; rows with equal ids
 are kept apart by their texts; a null id is left out of the least id of a component (a component of null ids has none).
@@ -29,6 +31,7 @@ from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute  # noqa: F401
 import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -39,7 +42,7 @@ from .words import SEGMENT, _tables, word_hashes
 
 K, MISS = 40, 1e-10
 #: Classes and values of a block, columns of an incidence matrix at a time.
-BLOCK, BLOCK_VALUES, COLUMNS, SLICE = 512, 400_000, 4096, 512
+BLOCK, BLOCK_VALUES, COLUMNS, SLICE = 256, 400_000, 4096, 512
 M1, M2, M3 = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB)
 
 
@@ -112,8 +115,8 @@ def sketch(docs: DataFrame, *, id_col: str, text_col: str, width: int, k: int) -
 def _listed(classes: DataFrame, k: int, num: int, den: int) -> DataFrame:
     """Classes that can have a partner, with ``prefix``: their values to be listed, rarest first, and ``central``."""
     values = classes.select("cls", F.explode("sketch").alias("v"))
-    counts = values.groupBy("v").agg(F.count("*").alias("held")).filter("held > 1")
-    shared = values.join(counts, "v").groupBy("cls").agg(F.sort_array(F.collect_list(F.struct("held", "v"))).alias("s"), F.sum(F.log2("held")).alias("central"))
+    counts = C.stored(values.groupBy("v").agg(F.count("*").alias("held")).filter("held > 1"), "counts")
+    shared = C.join_counted(values, counts, "v", "held").groupBy("cls").agg(F.sort_array(F.collect_list(F.struct("held", "v"))).alias("s"), F.sum(F.log2("held")).alias("central"))
     # values of one class alone are the rarest of all and take the first places
     both = shared.join(classes, "cls").withColumn("places", F.size("s") - _needed(F.col("n"), k, num, den) + 1)
     return both.filter("places > 0").select("cls", "id", "th", "n", "sketch", "central", F.transform(F.slice("s", F.lit(1), F.col("places")), lambda x: x["v"]).alias("prefix"))
@@ -164,21 +167,42 @@ def _compared(
     member = member.join(narrow.select("cls", "id", "th", "n"), "cls").join(joined.withColumnRenamed("node", "cls"), "cls", "left")
     member = C.stored(member.withColumn("label", F.coalesce("label", "cls")), "members")
     group = member.groupBy("hub").agg(F.count("*").alias("size"), F.max("n").alias("most"), (F.min("label") != F.max("label")).alias("open"))
-    # two classes are compared already; blocks hold at most BLOCK classes and about BLOCK_VALUES values
-    group = group.filter("open and size > 2").withColumn("blocks", F.ceil(F.col("size") / F.greatest(F.lit(8), F.least(F.lit(BLOCK), F.floor(F.lit(BLOCK_VALUES) / F.col("most"))))).cast("int"))
-    group = C.stored(group.select("hub", "blocks"), "groups")
+    # two classes are compared already; blocks hold about BLOCK classes and BLOCK_VALUES values
+    bound = F.greatest(F.lit(8), F.least(F.lit(BLOCK), F.floor(F.lit(BLOCK_VALUES) / F.col("most"))))
+    group = C.stored(group.filter("open and size > 2").select("hub", bound.alias("bound")), "groups")
     member = C.stored(member.join(C.small(group), "hub"), "open")
+    # components of over a block's size have blocks of their own, the others share some
+    parts = member.groupBy("hub", "bound", "label").agg(F.count("*").alias("size"))
+    large = C.stored(parts.filter("size > bound").select("hub", "label", F.ceil(F.col("size") / F.col("bound")).cast("int").alias("own")), "large")
+    pooled = parts.filter("size <= bound").groupBy("hub").agg(F.greatest(F.lit(1), F.ceil(F.sum("size") / F.first("bound"))).cast("int").alias("pool"))
+    member = member.join(C.small(large), ["hub", "label"], "left").join(C.small(C.stored(pooled, "pools")), "hub", "left")
+    none = F.lit(None).cast("binary")
+    block = F.when(F.col("own").isNotNull(), F.struct(F.col("label").alias("of"), F.pmod(F.xxhash64("cls"), "own").cast("int").alias("part"))).otherwise(F.struct(none.alias("of"), F.pmod(F.xxhash64("cls"), "pool").cast("int").alias("part")))
+    member = C.stored(member.select("hub", "cls", "id", "th", "label", block.alias("block")), "blocked")
+    blocks = C.stored(member.select("hub", "block").distinct(), "blocks")
+    others = blocks.select("hub", F.col("block").alias("other"))
+    # blocks of one component aren't compared with each other, nor with themselves
+    paired = blocks.join(others, "hub").filter("block.of IS NULL OR other.of IS NULL OR block.of <> other.of").select("hub", "block", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"))
     ends = C.small(C.stored(member.select("cls", "id", "th").distinct(), "ends"))
     rows = docs.select(F.col(id_col).alias("d_id"), F.xxhash64(text_col).alias("d_th"), F.col(text_col).alias("text"))
     texts = rows.join(ends, (F.col("d_th") == F.col("th")) & F.col("d_id").eqNullSafe(F.col("id"))).groupBy("cls").agg(F.first("text").alias("text"))
-    own = F.pmod(F.xxhash64("cls"), F.col("blocks")).cast("int")
-    dealt = member.join(texts, "cls").select("hub", "cls", "label", "text", own.alias("own"), F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("other"))
-    dealt = dealt.select("hub", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "cls", "label", "text", "own")
+
+    def build(stream: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        C.own("near-duplicates", _tables.cache_clear)
+        for batch in (whole.slice(lo, SLICE) for whole in stream for lo in range(0, whole.num_rows, SLICE)):
+            sets = [x.view(np.int64) for x in shingle_sets(C.binary_list(batch.column(1)), width)]
+            flat = pa.ListArray.from_arrays(pa.array(np.cumsum([0, *map(len, sets)]), pa.int32()), pa.array(np.concatenate(sets), pa.int64()))
+            yield pa.RecordBatch.from_arrays([batch.column(0), flat], ["cls", "set"])
+
+    sets = C.stored(texts.mapInArrow(build, "cls binary, set array<bigint>"), "sets")
+    held = member.join(sets, "cls").select("hub", "block", "cls", "label", "set")
+    dealt = paired.join(held, ["hub", "block"]).select("hub", "i", "j", "cls", "label", "set", (F.col("block") == F.col("i")).cast("int").alias("own"))
 
     def step(task: pa.Table) -> pa.Table:
-        sets = list(shingle_sets(C.binary_list(task.column("text").combine_chunks()), width))
+        held = task.column("set").combine_chunks()
+        flat, ends = held.flatten().to_numpy().view(np.uint64), np.cumsum(pa.compute.list_value_length(held).to_numpy())
         cls, label = task.column("cls").to_pylist(), np.unique(np.array(task.column("label").to_pylist(), object), return_inverse=True)[1]
-        links = joining(sets, label, np.array(task.column("own").to_pylist()), num, den)
+        links = joining(np.split(flat, ends[:-1]), label, np.array(task.column("own").to_pylist()), num, den)
         return pa.table({"a": pa.array([cls[x] for x, _ in links], pa.binary()), "b": pa.array([cls[y] for _, y in links], pa.binary())})
 
     return dealt.groupBy("hub", "i", "j").applyInArrow(step, "a binary, b binary").distinct()
@@ -238,8 +262,8 @@ def _grouped(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", wi
     listed = C.stored(_listed(classes, k, num, den), "listed")
     match = _may_match(k, num, den)
     lists = listed.select("cls", "central", F.explode("prefix").alias("v"))
-    hubs = lists.groupBy("v").agg(F.max(F.struct("central", "cls")).alias("hub"), F.count("*").alias("size")).filter("size > 1")
-    starred = lists.join(hubs, "v").filter(F.col("cls") != F.col("hub.cls")).select(F.col("hub.cls").alias("ca"), F.col("cls").alias("cb")).distinct()
+    hubs = C.stored(lists.groupBy("v").agg(F.max(F.struct("central", "cls")).alias("hub"), F.count("*").alias("size")).filter("size > 1"), "hubs")
+    starred = C.join_counted(lists, hubs, "v", "size").filter(F.col("cls") != F.col("hub.cls")).select(F.col("hub.cls").alias("ca"), F.col("cls").alias("cb")).distinct()
     starred = C.stored(starred, "starred")
     picked = [F.col(f"{x}.{y}").alias(x + z) for x in "ab" for y, z in (("cls", ""), ("id", "_id"), ("th", "_th"))]
     narrow = listed.select("cls", "id", "th", "n", "sketch")
@@ -267,17 +291,19 @@ def deduplicated(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "te
     Of rows with this id and text any one stays. A component without ids is represented by its least text hash. Rows without words are in no component; with
     ``wordless`` they stay, each on its own, else they go.
     """
-    found = _grouped(docs, id_col=id_col, text_col=text_col, **options)
-    one = F.struct(F.coalesce(F.col(id_col) != F.col("component"), F.lit(True)).alias("other"), F.col(id_col).alias("k_id"), F.col("th").alias("k_th"), "times")
-    keep = found.filter(F.col("n") > 0).groupBy("group", id_col, "component", "th").agg(F.count("*").alias("times")).groupBy("group").agg(F.min(one).alias("x"))
+    found = _grouped(docs, id_col=id_col, text_col=text_col, **options).withColumnRenamed(id_col, "id")
+    one = F.struct(F.coalesce(F.col("id") != F.col("component"), F.lit(True)).alias("other"), F.col("id").alias("k_id"), F.col("th").alias("k_th"), "times")
+    keep = found.filter(F.col("n") > 0).groupBy("group", "id", "component", "th").agg(F.count("*").alias("times")).groupBy("group").agg(F.min(one).alias("x"))
     keep = C.stored(keep.groupBy("x.k_id", "x.k_th").agg(F.max("x.times").alias("times")), "kept")
-    rows, is_kept = docs.withColumn("_th", F.xxhash64(text_col)), (F.col("_th") == F.col("k_th")) & F.col(id_col).eqNullSafe(F.col("k_id"))
+    # the row as one column, so that no name of its columns can clash; blanks between words are those of word_hashes
+    rows = docs.select(F.struct("*").alias("row"), F.col(id_col).alias("id"), F.xxhash64(text_col).alias("th"), F.coalesce(text_col, F.lit("")).rlike(r"[^\x20\x09-\x0D]").alias("words"))
+    is_kept = (F.col("th") == F.col("k_th")) & F.col("id").eqNullSafe(F.col("k_id"))
     kept = rows.join(keep.filter("times = 1").select("k_id", "k_th"), is_kept, "left_semi")
     # only what stands in several rows is moved to find one of them
     several = C.small(C.stored(keep.filter("times > 1").select("k_id", "k_th"), "several"))
-    kept = kept.union(rows.join(several, is_kept, "left_semi").dropDuplicates([id_col, "_th"])).drop("_th")
-    # the blanks between words, as in word_hashes
-    return kept.union(docs.filter(~F.coalesce(text_col, F.lit("")).rlike(r"[^\x20\x09-\x0D]"))) if wordless else kept
+    again = rows.join(several, is_kept, "left_semi").groupBy("id", "th").agg(F.first("row").alias("row"))
+    kept = kept.select("row").union(again.select("row"))
+    return (kept.union(rows.filter("not words").select("row")) if wordless else kept).select("row.*")
 
 
 def op7_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:

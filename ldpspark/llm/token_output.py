@@ -327,16 +327,25 @@ def decode(blocks: DataFrame, id_col: str = "doc_id", tokens: bool = True) -> Da
 
 
 def export(blocks: DataFrame, folder: str) -> int:
-    """Blocks as plain files ``part-block.tib`` below a folder that this driver can write; one block at a time."""
-    import os
-
-    os.makedirs(folder, exist_ok=True)
-    n = 0
-    for row in blocks.select("part", "block", "payload").toLocalIterator():
-        with open(f"{folder}/{row['part']:06d}-{row['block']:06d}.tib", "wb") as f:
-            f.write(row["payload"])
-        n += 1
-    return n
+    """Blocks as plain files ``part-block.tib`` below a folder that all executors share; the tasks write them.
+
+    A file gets its name when it is whole and its content is the block's alone, so a task that runs again does no harm.
+    """
+
+    def step(stream: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        import os
+        import uuid
+
+        os.makedirs(folder, exist_ok=True)
+        for batch in stream:
+            for part, block, payload in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2), strict=True):
+                path = f"{folder}/{part:06d}-{block:06d}.tib"
+                with open(f"{path}.{uuid.uuid4().hex}", "wb") as f:
+                    f.write(payload.as_py())
+                os.replace(f.name, path)
+            yield pa.RecordBatch.from_pydict({"n": pa.array([batch.num_rows], pa.int64())})
+
+    return blocks.select("part", "block", "payload").mapInArrow(step, "n bigint").agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
 
 
 def token_output(docs: DataFrame, tokenizer: str | None = None, **options) -> DataFrame:

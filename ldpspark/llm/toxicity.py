@@ -167,7 +167,8 @@ def fit(
     share = F.when(F.col("label") == 1, min(1.0, per_label / sizes[1])).otherwise(min(1.0, per_label / sizes[0]))
     drawn = known.filter((C.uniform(F.lit("toxic"), F.lit(seed), F.col("l_id")) < share) & F.col("label").isin(0, 1))
     drawn = C.small(C.stored(drawn, "labels"), 4 * per_label)
-    sample = docs.join(drawn, F.col(id_col) == F.col("l_id")).select(F.coalesce(F.col(text_col), F.lit("")).alias("text"), "label")
+    rows = docs.select(F.col(id_col).alias("d_id"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
+    sample = rows.join(drawn, F.col("d_id") == F.col("l_id")).select("text", "label")
     sample = C.stored(sample.groupBy(F.xxhash64("text").alias("th"), "label").agg(F.first("text").alias("text")), "toxic-sample")
 
     def count(stream: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
