@@ -6,8 +6,8 @@ vector the sum of its own; the prototype with the largest cosine wins. Word bord
 
 As a document's product with a prototype is the sum over its trigrams of their products with it, those are put into one
 table (alphabet^3 rows, a column a language) when the prototypes are ready; documents are scored by sums of its rows,
-which are exactly the products of the vectors. The length of a document's vector is taken as its expected value,
-sqrt(dimensions * sum of squared trigram counts); it is the same for all languages, so it moves the score, not the choice.
+which are exactly the products of the vectors. The document's own vector is bundled for its length: a matrix product of the
+trigram counts of some documents with the vectors of their trigrams. So the score is the cosine.
 
 The alphabet holds the most frequent letters of the training texts and one sign for all others. Prototypes are fitted on
 a bounded sample of the labelled rows, ``per_language`` rows of each language on average, drawn by a keyed hash of the id.
@@ -21,6 +21,7 @@ from __future__ import annotations
 from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass
+from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
@@ -94,6 +95,32 @@ def bundle(codes: np.ndarray, counts: np.ndarray, vectors: np.ndarray) -> np.nda
     return out.astype(np.int64)
 
 
+#: Documents, their trigrams, different trigrams and dimensions that are bundled at a time.
+GROUP, GROUP_CODES, ROWS, PART = 64, 60_000, 4096, 512
+
+
+def lengths(codes: np.ndarray, bounds: np.ndarray, vectors: np.ndarray) -> np.ndarray:
+    """Length of the bundled vector of each text; bounds: where the trigrams of each begin, and the end of the last."""
+    out, lo, n = np.zeros(len(bounds) - 1), 0, len(bounds) - 1
+    size, shifted = len(vectors), (np.roll(vectors, 2, axis=1), np.roll(vectors, 1, axis=1), vectors)
+    while lo < n:
+        hi = int(np.clip(np.searchsorted(bounds, bounds[lo] + GROUP_CODES, "right") - 1, lo + 1, min(n, lo + GROUP)))
+        own, place = np.unique(codes[bounds[lo] : bounds[hi]], return_inverse=True)
+        if not len(own):
+            lo = hi
+            continue
+        text = np.repeat(np.arange(hi - lo), np.diff(bounds[lo : hi + 1]))
+        counts = np.bincount(text * len(own) + place, minlength=(hi - lo) * len(own)).reshape(hi - lo, -1)
+        counts = counts.astype(np.float32 if bounds[hi] - bounds[lo] < 1 << 24 else np.float64)
+        letter = (own // size // size, own // size % size, own % size)
+        for k in range(0, vectors.shape[1], PART):
+            parts = [x[:, k : k + PART] for x in shifted]
+            bundled = sum(counts[:, u : u + ROWS] @ (parts[0][letter[0][u : u + ROWS]] * parts[1][letter[1][u : u + ROWS]] * parts[2][letter[2][u : u + ROWS]]) for u in range(0, len(own), ROWS))
+            out[lo:hi] += (bundled.astype(np.float64) ** 2).sum(axis=1)
+        lo = hi
+    return np.sqrt(out)
+
+
 @dataclass
 class Model:
     languages: list[str]
@@ -102,6 +129,7 @@ class Model:
     dimensions: int
     #: products of all trigram vectors with the prototypes of length one
     table: np.ndarray
+    seed: int = SEED
 
     def score(self, texts: list[bytes]) -> tuple[list[str], np.ndarray]:
         """Language and cosine (0 at least) of each text."""
@@ -118,15 +146,19 @@ class Model:
         for k in range(len(self.languages)):
             sums[full, k] = np.add.reduceat(self.table[k][codes], start, dtype=np.float64)
         best = sums.argmax(axis=1)
-        for i, lo in zip(full.tolist(), start.tolist(), strict=True):
-            own = np.sort(codes[lo : stop[i]])
-            places = np.flatnonzero(np.diff(own, prepend=-1))
-            counts = np.diff(np.append(places, len(own))).astype(np.float64)
+        # trigrams of texts without any take no room, so each text's end where the next one's begin
+        length = lengths(codes, np.append(start, stop[-1]), _vectors(self.size, self.dimensions, self.seed))
+        for i, own in zip(full.tolist(), length.tolist(), strict=True):
             out[i] = self.languages[best[i]]
-            cosines[i] = min(1.0, max(0.0, sums[i, best[i]] / np.sqrt(self.dimensions * float(counts @ counts))))
+            cosines[i] = min(1.0, max(0.0, sums[i, best[i]] / own)) if own else 0.0
         return out, cosines
 
 
+@lru_cache(maxsize=1)
+def _vectors(size: int, dimensions: int, seed: int) -> np.ndarray:
+    return bind(size, dimensions, seed)
+
+
 _SYMBOLS: dict[tuple, np.ndarray] = {}
 
 
@@ -189,7 +221,7 @@ def fit(labelled: DataFrame, *, id_col: str, text_col: str, lang_col: str, per_l
     prototype = {x: np.zeros(dimensions, np.int64) for x in languages}
     for row in drawn.mapInArrow(profile, "lang string, vector array<bigint>").toLocalIterator():
         prototype[row[0]] += np.array(row[1])
-    return Model(languages, common, alphabet, dimensions, product_table(np.array([prototype[x] for x in languages]), bind(alphabet, dimensions, seed)))
+    return Model(languages, common, alphabet, dimensions, product_table(np.array([prototype[x] for x in languages]), bind(alphabet, dimensions, seed)), seed)
 
 
 def product_table(prototypes: np.ndarray, vectors: np.ndarray) -> np.ndarray:
