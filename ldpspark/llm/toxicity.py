@@ -1,17 +1,20 @@
 """Toxicity by maximum-scoring segments of token log-odds.
 
 Words get the log-odds of the toxic against the other training texts, each with a Dirichlet prior of the pooled counts;
-texts count a word once. Words whose log-odds stand out by ``least_z`` standard errors keep them, all others cost a constant, so a text's expected
-score is negative. Stems (the first bytes of longer words) are counted like words; a word outside the table takes the
-log-odds of its longest stem in it, so unseen endings count too. One linear scan finds all maximal segments (no part that could be cut off or joined raises them).
+texts count a word once. Every counted word scores its log-odds, shrunk by the share of their square that sampling alone
+would give, (``SHRINK`` standard errors)^2, so common words that lean to the other texts lower a passage as telling ones raise
+it; a small constant cost of each word keeps the expected score negative. Stems (the first letters of longer words) are
+counted like words; a word without a score of its own takes that of its longest stem, so unseen endings count too. One
+linear scan finds all maximal segments (no part that could be cut off or joined raises them).
 
 The score S of a segment in a text of n words is held against the extreme-value law of chance maxima: with lambda the
-positive root of E[exp(lambda * score)] = 1 under the non-toxic word frequencies, lambda * S - ln(K * n) is its excess;
+positive root of E[exp(lambda * score)] = 1 under the non-toxic word frequencies, and K from the largest segments of the
+non-toxic training texts (the mean of lambda * S - ln(K * n) is Euler's constant), lambda * S - ln(K * n) is its excess;
 segments with a positive excess, an expected number below one in such a text, are the toxic passages. A logistic curve,
 fitted on the training rows, turns the sum of the excesses into the score of the text.
 
 Training uses a bounded sample: of each label, ``per_label`` rows on average, drawn by a keyed hash of the id, equal texts
-once. The word table sent to all tasks holds the standing-out words only, at most ``table_words``, the largest z first.
+once. The model sent to all tasks holds the words that score beyond the cost, at most ``table_words``, the largest z first.
 
 Defined results: null and empty texts have no passage and get the score of texts without one; without training rows of
 both labels every score is 0; rows with equal ids are judged one by one, and learn from all labels of their id.
@@ -32,12 +35,19 @@ from pyspark.sql import functions as F
 
 from . import common as C
 
-PER_LABEL, TABLE_WORDS, SEED = 12_000, 200_000, 5
-PRIOR_SHARE, LEAST_Z, STEM_Z, LEAST_ODDS, COST, DEFAULT_K = 0.05, 3.0, 4.0, 3.0, 0.3, 0.1
-#: Bytes of the stems, longest first; a stem's key ends in a mark that no word has.
+PER_LABEL, TABLE_WORDS, SEED = 12_000, 500_000, 5
+PRIOR_SHARE, SHRINK, COST, DEFAULT_K = 0.2, 2.0, 0.3, 0.1
+#: Bytes of the stems, longest first, up to a letter's end; a stem's key ends in a mark that no word has.
 STEMS, MARK, KEPT_WORDS = (6, 5, 4), b"*", 300_000
 
 
+def stem(word: bytes, size: int) -> bytes | None:
+    """Key of the first ``size`` bytes of a longer word, and those of a letter begun in them."""
+    while size < len(word) and word[size] & 0xC0 == 0x80:
+        size += 1
+    return word[:size] + MARK if size < len(word) else None
+
+
 @dataclass
 class Model:
     words: dict[bytes, float] = field(default_factory=dict)
@@ -65,7 +75,7 @@ class Model:
             for w in {w for w, x in zip(words, out, strict=True) if x is False}:
                 x = table.get(w)
                 if x is None:
-                    x = next((table[k] for n in STEMS if len(w) > n and (k := w[:n] + MARK) in table), None)
+                    x = next((table[k] for n in STEMS if (k := stem(w, n)) in table), None)
                 seen[w] = x
             out = list(map(seen.get, words))
         return out
@@ -73,17 +83,19 @@ class Model:
     def excess(self, score: float, n: int) -> float:
         return self.lam * score - math.log(max(self.k * n, 1.0))
 
+    def segments(self, text: bytes | None) -> tuple[int, list[tuple[int, int, float]]]:
+        """Number of words; (first word, last word, score) of each maximal segment, in order."""
+        words = C.ascii_words(text)
+        if not self.words:
+            return len(words), []
+        cost = self.cost
+        hits = [(i, s - cost) for i, s in enumerate(self.values(words)) if s is not None]
+        return len(words), segments(hits, cost) if any(s > 0 for _, s in hits) else []
+
     def passages(self, text: bytes | None) -> tuple[int, list[tuple[int, int, float, float]]]:
         """Number of words; (first word, last word, score, excess) of each toxic passage, in order."""
-        words = C.ascii_words(text)
-        found = []
-        if self.words:
-            values = self.values(words)
-            hits = [(i, s) for i, s in enumerate(values) if s is not None] if any(values) else []
-            for first, last, score in segments(hits, self.cost):
-                if (x := self.excess(score, len(words))) > 0:
-                    found.append((first, last, score, x))
-        return len(words), found
+        n, found = self.segments(text)
+        return n, [(a, b, s, x) for a, b, s in found if (x := self.excess(s, n)) > 0]
 
     def probability(self, total: np.ndarray) -> np.ndarray:
         return 1 / (1 + np.exp(-(self.intercept + self.slope * total))) if self.ready else np.zeros(len(total))
@@ -119,7 +131,7 @@ def segments(hits: list[tuple[int, float]], cost: float) -> list[tuple[int, int,
 def features(text: bytes | None) -> set[bytes]:
     """Distinct words and stems of a text."""
     words = set(C.ascii_words(text))
-    return words.union(*({w[:n] + MARK for w in words if len(w) > n} for n in STEMS))
+    return words.union({k for w in words for n in STEMS if (k := stem(w, n))})
 
 
 def decay(scores: np.ndarray, shares: np.ndarray, cost: float) -> float:
@@ -182,17 +194,21 @@ def fit(
             yield pa.RecordBatch.from_pydict({"word": pa.array(w, pa.binary()), "t": pa.array([seen[1][x] for x in w], pa.int64()), "o": pa.array([seen[0][x] for x in w], pa.int64())})
 
     counted = C.stored(sample.select("label", "text").mapInArrow(count, "word binary, t bigint, o bigint").groupBy("word").agg(F.sum("t").alias("t"), F.sum("o").alias("o")), "toxic-words")
-    nt, no = counted.agg(F.sum("t"), F.sum("o")).first()
+    is_word = F.substring("word", -1, 1) != F.lit(MARK)
+    nt, no, nw, ow = counted.agg(F.sum("t"), F.sum("o"), F.sum(F.when(is_word, F.col("t"))), F.sum(F.when(is_word, F.col("o")))).first()
     if not nt or not no:
         return model
-    # only standing-out words reach the driver
+    # only words that score reach the driver
     prior, a = PRIOR_SHARE * (nt + no), PRIOR_SHARE * (F.col("t") + F.col("o"))
     odds = F.log((F.col("t") + a) / F.greatest(nt + prior - F.col("t") - a, F.lit(1e-9))) - F.log((F.col("o") + a) / F.greatest(no + prior - F.col("o") - a, F.lit(1e-9)))
     z = odds / F.sqrt(1 / (F.col("t") + a) + 1 / (F.col("o") + a))
-    best = counted.select("word", odds.alias("odds"), z.alias("z"), ((F.col("o") + a) / (no + prior)).alias("share")).filter((F.col("odds") >= LEAST_ODDS) & (F.col("z") >= F.when(F.substring("word", -1, 1) == F.lit(MARK), STEM_Z).otherwise(LEAST_Z)))
-    rows = best.orderBy(F.desc("z"), "word").limit(table_words).collect()
-    model.words = {bytes(r["word"]): r["odds"] for r in rows}
-    model.lam = decay(np.array([r["odds"] for r in rows]), np.array([r["share"] for r in rows]), model.cost) if rows else 1.0
+    share = F.when(is_word, (F.col("o") + a) / (ow + PRIOR_SHARE * (nw + ow))).otherwise(0.0)
+    best = counted.select("word", odds.alias("odds"), z.alias("z"), share.alias("share")).filter((F.abs("z") > SHRINK))
+    best = best.select("word", (F.col("odds") * (1 - SHRINK**2 / (F.col("z") * F.col("z")))).alias("score"), "z", "share")
+    rows = best.orderBy(F.desc(F.abs("z")), "word").limit(table_words).collect()
+    model.words = {bytes(r["word"]): r["score"] for r in rows}
+    model.lam = decay(np.array([r["score"] for r in rows]) - model.cost, np.array([r["share"] for r in rows]), model.cost) if rows else 1.0
+    model.k = _constant(sample, model)
     shared = docs.sparkSession.sparkContext.broadcast(model)
 
     def measure(stream: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -209,6 +225,20 @@ def fit(
     return model
 
 
+def _constant(sample: DataFrame, model: Model) -> float:
+    """K of the extreme-value law: the largest segments of the non-toxic texts follow it on average."""
+    shared = sample.sparkSession.sparkContext.broadcast(model)
+
+    def largest(stream: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in stream:
+            found = [shared.value.segments(t) for t in C.binary_list(batch.column(0))]
+            x = [shared.value.lam * max((s for _, _, s in own), default=0.0) - math.log(n) for n, own in found if n]
+            yield pa.RecordBatch.from_pydict({"x": pa.array(x, pa.float64())})
+
+    mean = sample.filter("label = 0").select("text").mapInArrow(largest, "x double").agg(F.avg("x")).first()[0]
+    return DEFAULT_K if mean is None else math.exp(min(mean - np.euler_gamma, 0.0))
+
+
 def toxicity(
     docs: DataFrame, labels: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic", train: Column | None = None,
     per_label: int = PER_LABEL, table_words: int = TABLE_WORDS, seed: int = SEED,
