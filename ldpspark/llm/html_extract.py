@@ -446,6 +446,7 @@ def templates(pages: DataFrame) -> DataFrame:
 
 def _templates(pages: DataFrame, sizes: DataFrame) -> DataFrame:
     def step(stream: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        C.own("html", lambda: None)
         for batch in stream:
             held: dict[tuple[str, int], list[int]] = {}
             for host, key, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2), strict=True):
@@ -488,6 +489,7 @@ def containers(pages: DataFrame, known: DataFrame) -> DataFrame:
     """
 
     def step(stream: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        C.own("html", lambda: None)
         kept: dict[str, tuple[dict[int, int], Counter]] = {}
         for batch in stream:
             held: dict[tuple, list[int]] = {}
@@ -528,6 +530,7 @@ def containers(pages: DataFrame, known: DataFrame) -> DataFrame:
     agreed = rows.groupBy("host").agg(F.collect_list(F.struct("what", "c", "parent", "gap", "tokens", "size")).alias("rows"))
 
     def choose(stream: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        C.own("html", lambda: None)
         for batch in stream:
             found = []
             for rows, tokens, kinds in zip(*(batch.column(k).to_pylist() for k in (1, 2, 3)), strict=True):
@@ -553,6 +556,7 @@ def extract(pages: DataFrame, *, id_col: str = "page_id", url_col: str = "url",
     joined = rows.join(known, "host", "left").select("_id", "_url", "html", "host", "n", "tokens", "most", "agree", "region")
 
     def step(stream: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        C.own("html", lambda: None)
         kept: dict[str, tuple] = {}
         for batch in stream:
             out = []

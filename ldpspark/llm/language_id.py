@@ -89,14 +89,14 @@ def bundle(codes: np.ndarray, counts: np.ndarray, vectors: np.ndarray) -> np.nda
     """Sum of the trigram vectors, as whole numbers."""
     size, out = len(vectors), np.zeros(vectors.shape[1], np.float64)
     first, second = np.roll(vectors, 2, axis=1), np.roll(vectors, 1, axis=1)
-    for lo in range(0, len(codes), 2048):
-        c = codes[lo : lo + 2048]
-        out += counts[lo : lo + 2048].astype(np.float64) @ (first[c // size // size] * second[c // size % size] * vectors[c % size])
+    for lo in range(0, len(codes), 256):
+        c = codes[lo : lo + 256]
+        out += counts[lo : lo + 256].astype(np.float64) @ (first[c // size // size] * second[c // size % size] * vectors[c % size])
     return out.astype(np.int64)
 
 
 #: Documents, their trigrams, different trigrams and dimensions that are bundled at a time.
-GROUP, GROUP_CODES, ROWS, PART = 64, 60_000, 4096, 512
+GROUP, GROUP_CODES, ROWS, PART = 64, 60_000, 1024, 512
 
 
 def lengths(codes: np.ndarray, bounds: np.ndarray, vectors: np.ndarray) -> np.ndarray:
@@ -162,6 +162,11 @@ def _vectors(size: int, dimensions: int, seed: int) -> np.ndarray:
 _SYMBOLS: dict[tuple, np.ndarray] = {}
 
 
+def _clear() -> None:
+    _SYMBOLS.clear()
+    _vectors.cache_clear()
+
+
 def _symbols(alphabet: tuple) -> np.ndarray:
     if alphabet not in _SYMBOLS:
         _SYMBOLS.clear()
@@ -169,7 +174,7 @@ def _symbols(alphabet: tuple) -> np.ndarray:
     return _SYMBOLS[alphabet]
 
 
-def pieces(texts: list[bytes | None], most: int = 1 << 20) -> Iterator[tuple[int, int]]:
+def pieces(texts: list[bytes | None], most: int = 1 << 18) -> Iterator[tuple[int, int]]:
     """Bounds of consecutive texts of about ``most`` bytes together."""
     lo = total = 0
     for k, t in enumerate(texts):
@@ -194,6 +199,7 @@ def fit(labelled: DataFrame, *, id_col: str, text_col: str, lang_col: str, per_l
     drawn = C.stored(drawn.select("lang", "text"), "language-sample")
 
     def count(stream: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        C.own("language", _clear)
         total: Counter = Counter()
         for batch in stream:
             for t in C.binary_list(batch.column(1)):
@@ -205,6 +211,7 @@ def fit(labelled: DataFrame, *, id_col: str, text_col: str, lang_col: str, per_l
     common = sorted(r[0] for r in letters_seen.collect())
 
     def profile(stream: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        C.own("language", _clear)
         symbol, vectors = symbols_of(common), bind(alphabet, dimensions, seed)
         held: dict[str, np.ndarray] = {}
         for batch in stream:
@@ -250,7 +257,7 @@ def identify(
     where = docs.columns.index(text_col) if keep is not None else 1
 
     def step(stream: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        C.own("language", _SYMBOLS.clear)
+        C.own("language", _clear)
         for batch in stream:
             texts, found, scores = C.binary_list(batch.column(where)), [], [np.zeros(0)]
             for lo, hi in pieces(texts):

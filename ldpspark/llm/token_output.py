@@ -312,6 +312,7 @@ def decode(blocks: DataFrame, id_col: str = "doc_id", tokens: bool = True) -> Da
     placed = blocks.join(F.broadcast(base), F.col("part") == F.col("p")).select((F.col("base") + F.col("part_start")).alias("start"), "ids", "payload")
 
     def step(stream: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        C.own("token input", lambda: None)
         for batch in stream:
             for k in range(batch.num_rows):
                 counts, found = decode_block(batch.column(2)[k].as_py())

@@ -184,6 +184,7 @@ def fit(
     sample = C.stored(sample.groupBy(F.xxhash64("text").alias("th"), "label").agg(F.first("text").alias("text")), "toxic-sample")
 
     def count(stream: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        C.own("toxicity", lambda: None)
         seen: tuple[Counter, Counter] = (Counter(), Counter())
         for batch in stream:
             for label, text in zip(batch.column(0).to_pylist(), C.binary_list(batch.column(1)), strict=True):
@@ -212,6 +213,7 @@ def fit(
     shared = docs.sparkSession.sparkContext.broadcast(model)
 
     def measure(stream: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        C.own("toxicity", lambda: None)
         for batch in stream:
             own = [shared.value.passages(t) for t in C.binary_list(batch.column(1))]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([float(sum(p[3] for p in x)) for _, x in own])], ["label", "x"])
@@ -230,6 +232,7 @@ def _constant(sample: DataFrame, model: Model) -> float:
     shared = sample.sparkSession.sparkContext.broadcast(model)
 
     def largest(stream: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        C.own("toxicity", lambda: None)
         for batch in stream:
             found = [shared.value.segments(t) for t in C.binary_list(batch.column(0))]
             x = [shared.value.lam * max((s for _, _, s in own), default=0.0) - math.log(n) for n, own in found if n]
@@ -249,6 +252,7 @@ def toxicity(
     kind = pa.list_(pa.struct([("first", pa.int64()), ("last", pa.int64()), ("score", pa.float64()), ("excess", pa.float64())]))
 
     def step(stream: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        C.own("toxicity", lambda: None)
         model = shared.value
         for batch in stream:
             found = [model.passages(t)[1] for t in C.binary_list(batch.column(1))]
