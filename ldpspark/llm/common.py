@@ -52,13 +52,14 @@ def held_out(doc_id: Column, folds: int = 5) -> Column:
 
 
 #: Rows of whole texts that go to a Python worker at a time; Spark's own value of 10,000 makes batches of tens of MB, twice in native memory.
-BATCH_ROWS = 400
+BATCH_ROWS, BATCH_BYTES = 400, 1 << 20
 
 
 def small_batches(spark: SparkSession) -> None:
     """Bounds Arrow batches (a session setting that can change at any time)."""
     if int(spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch")) > BATCH_ROWS:
         spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(BATCH_ROWS))
+        spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", str(BATCH_BYTES))
 
 
 def shared_dir(spark: SparkSession) -> str:

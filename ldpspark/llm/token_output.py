@@ -38,7 +38,7 @@ from pyspark.sql import functions as F
 from . import common as C
 
 MAGIC, HEAD = b"TIB1", struct.Struct("<4sQQQQ")
-BLOCK_TOKENS, CHUNK_BYTES = 1 << 19, 1 << 20
+BLOCK_TOKENS, CHUNK_BYTES = 1 << 18, 1 << 20
 KEPT_PIECES = 250_000
 #: Lengths in bytes of the four tokens of each control byte.
 LENGTHS = np.array([[(c >> s & 3) + 1 for s in (0, 2, 4, 6)] for c in range(256)], np.int64)
@@ -157,7 +157,8 @@ class Encoder:
 
         with open(path, encoding="utf-8") as f:
             made = json.load(f)
-        self.tokenizer, self.end = Tokenizer.from_file(path), end_id
+        self.path, self.end, self.most = path, end_id, max([*made["model"]["vocab"].values(), *(x["id"] for x in made.get("added_tokens") or [])])
+        self._whole = None
         kinds = [x.get("type") for x in (made.get("normalizer") or {}).get("normalizers", [])]
         splits = [x.get("pattern", {}).get("Regex") for x in (made.get("pre_tokenizer") or {}).get("pretokenizers", [])]
         model, suffix = made["model"], made["model"].get("end_of_word_suffix")
@@ -190,7 +191,16 @@ class Encoder:
         self.flat = fit(ids, 1 << 18)
 
     def _narrow(self) -> bool:
-        return self.tokenizer.get_vocab_size() <= 1 << 16
+        return self.most < 1 << 16
+
+    @property
+    def tokenizer(self):
+        """For texts that go whole; loaded when there is one."""
+        if self._whole is None:
+            from tokenizers import Tokenizer
+
+            self._whole = Tokenizer.from_file(self.path)
+        return self._whole
 
     def _learn(self, new: list[bytes]) -> None:
         for lo in range(0, len(new), 4000):
