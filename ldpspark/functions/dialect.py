@@ -10,9 +10,11 @@ from __future__ import annotations
 import math
 from dataclasses import dataclass
 
-#: Field of the linear and polynomial hashes; products of two members stay below 2^62.
-PRIME = (1 << 31) - 1
-LIMB = 1 << 31
+#: Limbs of items below 2^62, and the field of the linear hash: the largest prime below 2^32. Limbs are members of it, so
+#: no two items fall together, and the product of a member and a limb stays below 2^63.
+LIMB, PRIME = 1 << 31, (1 << 32) - 5
+#: Field of the polynomial hash: the least prime above 2^62. All items are members; products have at most 38 digits.
+FIELD = (1 << 62) + 135
 
 
 @dataclass(frozen=True)
@@ -56,11 +58,11 @@ class Dialect:
 SPARK, DUCK = Dialect(False), Dialect(True)
 
 
-def coefficients(role: str, seed: int, n: int) -> list[int]:
+def coefficients(role: str, seed: int, n: int, field: int = PRIME) -> list[int]:
     """``n`` field members from md5 of role, seed and place."""
     import hashlib
 
-    return [int(hashlib.md5(f"{role}:{seed}:{i}".encode()).hexdigest()[:15], 16) % PRIME for i in range(n)]
+    return [int(hashlib.md5(f"{role}:{seed}:{i}".encode()).hexdigest(), 16) % field for i in range(n)]
 
 
 def linear(d: Dialect, item: str, a0: str, a1: str, b: str) -> str:
@@ -69,12 +71,20 @@ def linear(d: Dialect, item: str, a0: str, a1: str, b: str) -> str:
 
 
 def polynomial(d: Dialect, item: str, coefs: list[int]) -> str:
-    """Horner's rule modulo the field's prime: as many-wise independent as there are coefficients."""
-    x = f"((({item}) % {LIMB} + {d.div(item, str(LIMB))} * 1000003) % {PRIME})"
-    out = str(coefs[0])
-    for c in coefs[1:]:
-        out = f"((({out}) * {x} + {c}) % {PRIME})"
-    return out
+    """Horner's rule in ``FIELD``: as many-wise independent over all items below 2^62 as there are coefficients.
+
+    Decimals hold the products exactly and, unlike limbs, name each step once, so the text grows with the coefficients.
+    """
+    if d.duck:
+        out = f"CAST({coefs[0]} AS HUGEINT)"
+        for c in coefs[1:]:
+            out = f"(({out} * CAST({item} AS HUGEINT) + CAST({c} AS HUGEINT)) % CAST({FIELD} AS HUGEINT))"
+    else:
+        whole = lambda x: f"CAST({x} AS DECIMAL(19,0))"
+        out = whole(coefs[0])
+        for c in coefs[1:]:
+            out = whole(f"(({out} * {whole(item)} + {whole(c)}) % {whole(FIELD)})")
+    return f"CAST({out} AS BIGINT)"
 
 
 def linear_value(item: int, a0: int, a1: int, b: int) -> int:
@@ -82,7 +92,7 @@ def linear_value(item: int, a0: int, a1: int, b: int) -> int:
 
 
 def polynomial_value(item: int, coefs: list[int]) -> int:
-    x, out = (item % LIMB + item // LIMB * 1000003) % PRIME, coefs[0]
+    out = coefs[0]
     for c in coefs[1:]:
-        out = (out * x + c) % PRIME
+        out = (out * item + c) % FIELD
     return out

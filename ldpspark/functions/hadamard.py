@@ -2,12 +2,15 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-LOCAL_BITS = 20
+#: Cells of a task: 2^22 doubles are 32 MB, of which the transform holds a few copies.
+LOCAL_BITS = 22
 
 
 def butterfly(x: np.ndarray) -> np.ndarray:
@@ -30,7 +33,7 @@ def transform(sums: DataFrame, bits: int, local_bits: int = LOCAL_BITS) -> DataF
     """(part, cell, total) for sums (part, r, s): total = sum over r of sign(r, cell) * s.
 
     Up to ``local_bits`` a part is one group. Beyond, the matrix is the product of one on the low and one on the high
-    bits: blocks of the low bits are transformed first, then, for each low cell, the high bits across the blocks.
+    bits, see :func:`transform_blocks`.
     """
     if bits <= local_bits:
 
@@ -39,18 +42,34 @@ def transform(sums: DataFrame, bits: int, local_bits: int = LOCAL_BITS) -> DataF
             return pd.DataFrame({"part": g["part"].iloc[0], "cell": np.arange(1 << bits), "total": t})
 
         return sums.select("part", "r", "s").groupBy("part").applyInPandas(whole, "part bigint, cell bigint, total double")
-    low = bits // 2
-    high = bits - low
+    finish = lambda part, first, t: pd.DataFrame({"part": part, "cell": first + np.arange(len(t)), "total": t})
+    return transform_blocks(sums, bits, bits // 2, finish, "part bigint, cell bigint, total double", local_bits)
 
-    def lower(g: pd.DataFrame) -> pd.DataFrame:
-        t = butterfly(dense(g["lo"].to_numpy(), g["s"].to_numpy(), low))
-        return pd.DataFrame({"part": g["part"].iloc[0], "hi": g["hi"].iloc[0], "lo": np.arange(1 << low), "s": t})
+
+def transform_blocks(sums: DataFrame, bits: int, low: int, finish: Callable[[int, int, np.ndarray], pd.DataFrame], schema: str, local_bits: int | None = None) -> DataFrame:
+    """``finish`` of runs of neighbouring cells, whole blocks of 2^low, given the part, the first cell and the totals.
+
+    The high bits of the row are transformed first, for each value of the low bits, then the low bits within a block. A
+    group of either step takes as many values or blocks as fit into 2^local_bits cells, and at least one.
+    """
+    high, local = bits - low, LOCAL_BITS if local_bits is None else local_bits
+    values, blocks = (max(0, min(own, local - other)) for own, other in ((low, high), (high, low)))
+
+    def block(g: pd.DataFrame, outer: str, inner: str, taken: int, size: int) -> tuple[int, np.ndarray]:
+        first = int(g[outer].iloc[0]) >> taken << taken
+        x = np.zeros((1 << taken, 1 << size))
+        np.add.at(x, (g[outer].to_numpy() - first, g[inner].to_numpy()), g["s"].to_numpy())
+        return first, butterfly(x)
 
     def upper(g: pd.DataFrame) -> pd.DataFrame:
-        t = butterfly(dense(g["hi"].to_numpy(), g["s"].to_numpy(), high))
-        lo = g["lo"].iloc[0]
-        return pd.DataFrame({"part": g["part"].iloc[0], "cell": (np.arange(1 << high, dtype=np.int64) << low) + lo, "total": t})
+        first, t = block(g, "lo", "hi", values, high)
+        lo, hi = np.divmod(np.arange(t.size), 1 << high)
+        return pd.DataFrame({"part": g["part"].iloc[0], "lo": first + lo, "hi": hi, "s": t.ravel()})
+
+    def lower(g: pd.DataFrame) -> pd.DataFrame:
+        first, t = block(g, "hi", "lo", blocks, low)
+        return finish(int(g["part"].iloc[0]), first << low, t.ravel())
 
     cut = sums.select("part", F.shiftright("r", low).alias("hi"), F.col("r").bitwiseAND((1 << low) - 1).alias("lo"), F.col("s").cast("double").alias("s"))
-    blocks = cut.groupBy("part", "hi").applyInPandas(lower, "part bigint, hi bigint, lo bigint, s double")
-    return blocks.groupBy("part", "lo").applyInPandas(upper, "part bigint, cell bigint, total double")
+    half = cut.groupBy("part", F.shiftright("lo", values)).applyInPandas(upper, "part bigint, lo bigint, hi bigint, s double")
+    return half.groupBy("part", F.shiftright("hi", blocks)).applyInPandas(lower, schema)

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import math
 from dataclasses import dataclass, field
 from functools import cached_property
 
@@ -131,14 +132,29 @@ def second_eigenvalue(neighbours: list[list[int]]) -> float:
     return float(sorted(np.abs(np.linalg.eigvalsh((a + a.T) / 2)))[-2])
 
 
-def expander(m: int, d: int, seed: int = 1, tries: int = 300) -> list[list[int]]:
-    """``d``-regular graph on ``m`` nodes without loops and double edges: of ``tries`` random ones the best spectral gap.
+def gap_limit(m: int, d: int) -> float:
+    """Second eigenvalue that a d-regular graph on m nodes is asked to stay within.
 
-    Random perfect matchings of stubs, drawn again until simple; where none comes, circulant offsets.
+    From degree 3 on a tenth above 2 sqrt(d - 1), which random graphs meet; below, that of one cycle through all nodes, the
+    best there is, which also rules out graphs in several pieces.
     """
-    rng, best, gap = np.random.default_rng(seed), None, float("inf")
-    for _ in range(tries):
-        stubs = rng.permutation(np.repeat(np.arange(m), d)).reshape(-1, 2) if m * d % 2 == 0 else np.zeros((0, 2), int)
+    if d == 2:
+        return max(abs(2 * math.cos(2 * math.pi * k / m)) for k in range(1, m)) + 1e-9
+    return min(2.2 * math.sqrt(d - 1), d - 1e-6)
+
+
+def expander(m: int, d: int, seed: int = 1, tries: int = 300, lam_max: float | None = None) -> list[list[int]]:
+    """``d``-regular graph on ``m`` nodes without loops and double edges whose second eigenvalue is at most ``lam_max``.
+
+    Random perfect matchings of stubs, drawn again until simple; of the first ``tries`` the best spectral gap is taken, and
+    where that misses the limit drawing goes on, up to a hundred times as many. Circulant offsets are tried where no
+    matching exists. A graph that misses the limit is never returned.
+    """
+    rng, best, gap, limit = np.random.default_rng(seed), None, float("inf"), gap_limit(m, d) if lam_max is None else lam_max
+    for k in range(100 * tries if m * d % 2 == 0 else 0):
+        if k >= tries and gap <= limit:
+            break
+        stubs = rng.permutation(np.repeat(np.arange(m), d)).reshape(-1, 2)
         edges = {(min(a, b), max(a, b)) for a, b in stubs.tolist()}
         if len(edges) < m * d // 2 or any(a == b for a, b in edges):
             continue
@@ -146,8 +162,11 @@ def expander(m: int, d: int, seed: int = 1, tries: int = 300) -> list[list[int]]
         value = second_eigenvalue(near)
         if value < gap - 1e-9:
             best, gap = near, value
-    if best is None:
+    if best is None and d < m:
         best = [sorted({(k + o) % m for o in range(1, d // 2 + 1)} | {(k - o) % m for o in range(1, d // 2 + 1)}) for k in range(m)]
+        gap = second_eigenvalue(best) if all(len(x) == d for x in best) else float("inf")
+    if best is None or gap > limit:
+        raise ValueError(f"no {d}-regular graph on {m} nodes with a second eigenvalue of at most {limit:.3f} found")
     return best
 
 
@@ -227,3 +246,35 @@ def boundary_bound(near: list[list[int]], inside: set[int]) -> float:
     """Most edges that a d-regular graph with this second eigenvalue keeps within a set: (d/n + lambda/|S|) |S|^2 / 2."""
     n, d, s = len(near), len(near[0]), len(inside)
     return (d * s / n + second_eigenvalue(near) * (1 - s / n)) * s
+
+
+def cluster_eta(edges: list[tuple[int, int]], inside: list[int]) -> tuple[float, float]:
+    """(leaving, cut): the least eta for which a vertex set meets each condition of a spectral cluster; their larger is its eta.
+
+    leaving: share of its volume that leaves it. cut: over all its subsets A with volume share r, the most that
+    r (1 - r) is above the share of the volume between A and the rest. All subsets are tried, so at most 20 vertices.
+    """
+    if len(inside) > 20:
+        raise ValueError("at most 20 vertices")
+    place = {v: k for k, v in enumerate(inside)}
+    volume, out, within = np.zeros(len(inside)), 0, []
+    for a, b in edges:
+        for v in (a, b):
+            if v in place:
+                volume[place[v]] += 1
+        out += (a in place) != (b in place)
+        if a in place and b in place:
+            within.append((place[a], place[b]))
+    total = volume.sum()
+    if not total:
+        return 1.0, 0.0
+    subsets = np.arange(1 << len(inside))
+    bits = (subsets[:, None] >> np.arange(len(inside))) & 1
+    r = bits @ volume / total
+    between = sum(((bits[:, a] != bits[:, b]).astype(np.int64) for a, b in within), np.zeros(len(subsets), np.int64))
+    return float(out / total), float((r * (1 - r) - between / total).max())
+
+
+def is_cluster(edges: list[tuple[int, int]], inside: list[int], eta: float) -> bool:
+    """Whether the vertex set is an eta-spectral cluster of the graph."""
+    return max(cluster_eta(edges, inside)) <= eta + 1e-12

@@ -64,3 +64,36 @@ class HardInstance:
         est = (F.sum("ones") - F.sum("len") * (1 - p)) / (2 * p - 1)
         out = blocks.agg(est.alias("est"), F.sum(F.col("bit") * F.col("len")).alias("truth"), F.sum("bit").alias("source_truth"))
         return out.select("est", "truth", (F.col("est") - F.col("truth")).alias("error"), (F.col("est") * self.m / self.n - F.col("source_truth")).alias("source_error"))
+
+
+def sum_law(ps: list[float]) -> list[float]:
+    """Probabilities of 0, 1, ... ones among independent bits."""
+    law = [1.0]
+    for p in ps:
+        law = [(law[k] * (1 - p) if k < len(law) else 0.0) + (law[k - 1] * p if k else 0.0) for k in range(len(law) + 1)]
+    return law
+
+
+def outside(ps: list[float], low: float, high: float) -> float:
+    """Probability that the sum of independent bits leaves the interval."""
+    return sum(x for k, x in enumerate(sum_law(ps)) if not low <= k <= high)
+
+
+def exchange(ps: list[float], c: float, low: float, high: float) -> list[tuple[int, str, float, float, float]]:
+    """Steps from any bits with means in 1/2 +- c to one binomial: (step, what, low, high, probability outside), never rising.
+
+    First each mean is moved to the end of its range that leaves the sum outside less often; then the bits of the rarer end
+    become constants, which moves the interval. Left is a binomial of at least half the bits and an interval as long.
+    """
+    now, out = list(ps), [(0, "given", low, high, outside(ps, low, high))]
+    for i in range(len(now)):
+        now[i] = min((0.5 - c, 0.5 + c), key=lambda p: outside([*now[:i], p, *now[i + 1 :]], low, high))
+        out.append((i + 1, "end of range", low, high, outside(now, low, high)))
+    ends = sorted((0.5 - c, 0.5 + c), key=now.count)
+    rest = [p for p in now if p == ends[1]] + [p for p in now if p == ends[0]]
+    while len(rest) > max(now.count(ends[1]), 1) or len(rest) > (len(ps) + 1) // 2:
+        rest.pop()
+        shift = min((0, 1), key=lambda x: outside(rest, low - x, high - x))
+        low, high = low - shift, high - shift
+        out.append((len(out), "constant", low, high, outside(rest, low, high)))
+    return out

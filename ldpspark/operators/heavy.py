@@ -10,6 +10,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ldpspark.functions.dialect import DUCK, SPARK, Dialect, coefficients, linear
+from ldpspark.functions import hadamard
 from ldpspark.functions.hadamard import butterfly, dense
 from ldpspark.plans.planner import ExpanderPlan
 
@@ -67,15 +68,22 @@ class ExpanderHeavyHitters:
         return reports.groupBy("j", F.col("r2").alias("r")).agg(F.sum("s2").alias("s"), F.count("*").alias("n"))
 
     def winners(self, sums: DataFrame, threshold: float | None = None) -> DataFrame:
-        """Best z of each (b, m, y) over the threshold. A task transforms one coordinate and returns winners only."""
+        """Best z of each (b, m, y) over the threshold.
+
+        Up to ``hadamard.LOCAL_BITS`` a task transforms one coordinate; beyond, the transform is split and a task holds a
+        block of cells with all z of its (b, y). Either returns winners only.
+        """
         p, limit = self.plan, self.plan.threshold if threshold is None else threshold
         scale = unbias(p.eps_coordinate)
+        if p.cell_bits <= hadamard.LOCAL_BITS:
 
-        def coordinate(g: pd.DataFrame) -> pd.DataFrame:
-            est = butterfly(dense(g["r"].to_numpy(), g["s"].to_numpy(), p.cell_bits)) * scale
-            return _best(est, int(g["m"].iloc[0]), p, limit)
+            def coordinate(g: pd.DataFrame) -> pd.DataFrame:
+                est = butterfly(dense(g["r"].to_numpy(), g["s"].to_numpy(), p.cell_bits)) * scale
+                return _best(est, int(g["m"].iloc[0]), p, limit)
 
-        return sums.select("m", "r", "s").groupBy("m").applyInPandas(coordinate, WINNERS)
+            return sums.select("m", "r", "s").groupBy("m").applyInPandas(coordinate, WINNERS)
+        low = max(p.code.z_bits, p.cell_bits // 2)
+        return hadamard.transform_blocks(sums.select(F.col("m").alias("part"), "r", "s"), p.cell_bits, low, lambda m, first, total: _best(total * scale, m, p, limit, first), WINNERS)
 
     def lists(self, winners: DataFrame) -> DataFrame:
         return D.cap_lists(winners, self.plan.cap)
@@ -97,12 +105,14 @@ class ExpanderHeavyHitters:
         return self.from_reports(self.reports(users))
 
 
-def _best(est: np.ndarray, m: int, p: ExpanderPlan, limit: float) -> pd.DataFrame:
-    cube = est.reshape(1 << p.bucket_bits, 1 << p.code.y_bits, 1 << p.code.z_bits)
-    z = cube.argmax(axis=2)
-    top = np.take_along_axis(cube, z[:, :, None], axis=2)[:, :, 0]
-    b, y = np.nonzero(top >= limit)
-    return pd.DataFrame({"b": b.astype(np.int64), "m": np.full(len(b), m, np.int64), "y": y.astype(np.int64), "z": z[b, y].astype(np.int64), "est": top[b, y]})
+def _best(est: np.ndarray, m: int, p: ExpanderPlan, limit: float, first: int = 0) -> pd.DataFrame:
+    """Winners among cells from ``first`` on, which hold all z of each (b, y), ties to the smaller z."""
+    rows = est.reshape(-1, 1 << p.code.z_bits)
+    z = rows.argmax(axis=1)
+    top = np.take_along_axis(rows, z[:, None], axis=1)[:, 0]
+    k = np.flatnonzero(top >= limit)
+    at = k + (first >> p.code.z_bits)
+    return pd.DataFrame({"b": at >> p.code.y_bits, "m": np.full(len(k), m, np.int64), "y": at & (1 << p.code.y_bits) - 1, "z": z[k].astype(np.int64), "est": top[k]})
 
 
 @dataclass(frozen=True)
@@ -209,15 +219,18 @@ class SingleHash:
 
     def candidates(self, sums: DataFrame) -> DataFrame:
         """Items joined from the winning symbols of a hash value that pass the threshold in every coordinate."""
-        scale, limit, s, y_bits, bits = unbias(self.eps_coordinate), self.threshold, self.s, self.y_bits, self.cell_bits
+        scale, limit, s, y_bits, bits, parts = unbias(self.eps_coordinate), self.threshold, self.s, self.y_bits, self.cell_bits, self.m
 
-        def coordinate(g: pd.DataFrame) -> pd.DataFrame:
-            est = (butterfly(dense(g["r"].to_numpy(), g["s"].to_numpy(), bits)) * scale).reshape(1 << y_bits, 1 << s)
-            z = est.argmax(axis=1)
-            y = np.flatnonzero(est.max(axis=1) >= limit)
-            return pd.DataFrame({"rep": int(g["rep"].iloc[0]), "y": y.astype(np.int64), "part": z[y].astype(np.int64) << (s * int(g["m"].iloc[0]))})
+        def best(part: int, first: int, total: np.ndarray) -> pd.DataFrame:
+            est = (total * scale).reshape(-1, 1 << s)
+            z, y = est.argmax(axis=1), np.flatnonzero(est.max(axis=1) >= limit)
+            return pd.DataFrame({"rep": np.full(len(y), part // parts, np.int64), "y": y + (first >> s), "part": z[y].astype(np.int64) << (s * (part % parts))})
 
-        won = sums.groupBy("rep", "m").applyInPandas(coordinate, "rep bigint, y bigint, part bigint")
+        schema, of_part = "rep bigint, y bigint, part bigint", sums.select((F.col("rep") * parts + F.col("m")).alias("part"), "r", "s")
+        if bits <= hadamard.LOCAL_BITS:
+            won = of_part.groupBy("part").applyInPandas(lambda g: best(int(g["part"].iloc[0]), 0, butterfly(dense(g["r"].to_numpy(), g["s"].to_numpy(), bits))), schema)
+        else:
+            won = hadamard.transform_blocks(of_part, bits, max(s, bits // 2), best, schema)
         return won.groupBy("rep", "y").agg(F.sum("part").alias("item"), F.count("*").alias("parts")).filter(F.col("parts") == self.m).select("item").distinct()
 
     def run(self, users: DataFrame) -> DataFrame:

@@ -71,6 +71,9 @@ class HashedOracle:
     """Large domain: users fall into ``rows`` groups; each hashes items to ``1 << bits`` cells and a sign.
 
     Estimate of an item: the median (or mean) over groups of rows * sign * estimate of its cell.
+
+    With ``public_coins`` off nothing random is shared: the hashes are a fixed numbered family of ``rows`` members, each user
+    draws the number of one with coins of their own and sends it along, and the server groups reports by it.
     """
 
     eps: float
@@ -79,6 +82,7 @@ class HashedOracle:
     seed: int = 1
     combine: str = "median"
     role: str = "hashed"
+    public_coins: bool = True
 
     @property
     def keep(self) -> float:
@@ -87,8 +91,9 @@ class HashedOracle:
         return exp(self.eps) / (exp(self.eps) + 1)
 
     def cell_sign(self, d: Dialect, item: str, row: str) -> tuple[str, str]:
-        a0, a1, b = (d.at(coefficients(f"{self.role}-cell{k}", self.seed, self.rows), row) for k in range(3))
-        c0, c1, e = (d.at(coefficients(f"{self.role}-sign{k}", self.seed, self.rows), row) for k in range(3))
+        family, seed = (self.role, self.seed) if self.public_coins else ("family", 0)
+        a0, a1, b = (d.at(coefficients(f"{family}-cell{k}", seed, self.rows), row) for k in range(3))
+        c0, c1, e = (d.at(coefficients(f"{family}-sign{k}", seed, self.rows), row) for k in range(3))
         return f"(({linear(d, item, a0, a1, b)}) % {1 << self.bits})", f"(1 - 2 * (({linear(d, item, c0, c1, e)}) % 2))"
 
     def draw(self, d: Dialect, item: str, user: str) -> tuple[str, str, str]:

@@ -7,7 +7,7 @@ from dataclasses import dataclass, replace
 
 from pyspark.sql import DataFrame, SparkSession
 
-from ldpspark.functions.dialect import Dialect, coefficients, polynomial
+from ldpspark.functions.dialect import FIELD, Dialect, coefficients, polynomial
 from ldpspark.operators.code import ExpanderCode
 from ldpspark.operators.randomizers import unbias
 
@@ -15,6 +15,14 @@ from ldpspark.operators.randomizers import unbias
 PRESETS = {"tiny": (16, 4, 7, 4, 2), "small": (24, 8, 7, 4, 2), "medium": (32, 4, 15, 3, 4), "wide": (62, 8, 15, 4, 2)}
 
 
+#: Independence of the bucket hash in natural logarithms of the domain.
+C_G = 0.5
+
+
+def bucket_independence(bits: int) -> int:
+    return max(4, math.ceil(C_G * bits * math.log(2)))
+
+
 @dataclass(frozen=True)
 class ExpanderPlan:
     """All that is fixed before the first report: the protocol takes one message of each user."""
@@ -24,7 +32,8 @@ class ExpanderPlan:
     beta: float
     code: ExpanderCode
     buckets: int = 1
-    independence: int = 8
+    #: coefficients of the bucket hash; 0: C_G times the logarithm of the domain, see ``bucket_independence``
+    independence: int = 0
     #: standard deviations of a cell's noise that a listed cell must exceed
     sigmas: float = 5.0
     cap: int = 24
@@ -34,6 +43,11 @@ class ExpanderPlan:
     seed: int = 7
     share: float = 0.5
 
+    @property
+    def bucket_independence(self) -> int:
+        """As many-wise independent as limited-independence tails ask for: in proportion to the domain's logarithm."""
+        return self.independence or bucket_independence(self.code.bits)
+
     @property
     def eps_coordinate(self) -> float:
         return self.eps * self.share
@@ -65,8 +79,8 @@ class ExpanderPlan:
         return f"({d.digits(digest, 1, 8)} % {self.code.m})"
 
     def bucket_text(self, d: Dialect, item: str) -> str:
-        """Bucket of an item: a polynomial hash of ``independence`` coefficients."""
-        return "CAST(0 AS BIGINT)" if self.buckets == 1 else f"({polynomial(d, item, coefficients('bucket', self.seed, self.independence))} % {self.buckets})"
+        """Bucket of an item: a polynomial hash of ``bucket_independence`` coefficients."""
+        return "CAST(0 AS BIGINT)" if self.buckets == 1 else f"({polynomial(d, item, coefficients('bucket', self.seed, self.bucket_independence, FIELD))} % {self.buckets})"
 
     def cell_text(self, d: Dialect, item: str, m: str) -> str:
         return f"(({self.bucket_text(d, item)} * {1 << self.code.y_bits} + {self.code.y_text(d, item, m)}) * {1 << self.code.z_bits} + {self.code.z_text(d, item, m)})"
@@ -77,6 +91,7 @@ class ExpanderPlan:
         return [
             ("eps <= 1", self.eps <= 1, self.eps, 1.0), ("beta <= 1", self.beta <= 1, self.beta, 1.0), ("n >= w / eps^2", self.n >= w / self.eps**2, float(self.n), w / self.eps**2),
             ("n >= 8 M^2 w", self.n >= 8 * self.code.m**2 * w, float(self.n), 8.0 * self.code.m**2 * w), ("n <= domain", self.n <= 2.0**w, float(self.n), 2.0**w),
+            ("bucket hash >= C_g w-wise independent", self.bucket_independence >= C_G * w * math.log(2), float(self.bucket_independence), C_G * w * math.log(2)), ("items below 2^62", w <= 62, float(w), 62.0),
             ("one message of at most eps", abs(self.eps_coordinate + self.eps_final - self.eps) < 1e-12, self.eps_coordinate + self.eps_final, self.eps),
             ("list holds eps sqrt(n/w) heavy items", self.cap * self.buckets >= min(self.eps * math.sqrt(self.n / w), 1 / (self.detectable / self.n)), float(self.cap * self.buckets), 1 / (self.detectable / self.n)),
         ]

@@ -14,9 +14,10 @@ from dataclasses import dataclass
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ldpspark.functions.dialect import DUCK, SPARK, coefficients, polynomial
+from ldpspark.functions.dialect import DUCK, FIELD, SPARK, coefficients, polynomial
 from ldpspark.operators import apps, audit, decode, measure, shell
-from ldpspark.operators.hard import HardInstance
+from ldpspark.operators.code import cluster_eta, second_eigenvalue
+from ldpspark.operators.hard import HardInstance, exchange
 from ldpspark.operators.heavy import ExactCodeSketch, ExpanderHeavyHitters, SingleHash, auto, scan_domain
 from ldpspark.operators.oracle import DirectOracle, HashedOracle, ProjectionOracle, bit_count, exact_counts, from_list, post_process
 from ldpspark.operators.purify import OneBit, RejectionPurifier
@@ -236,6 +237,15 @@ def hashed_oracle_mean(spark, d):
     return _est(MEAN.estimate(MEAN.fit(MEAN.reports(view(spark, d, "u_planted"))), ASKED.df(spark)))
 
 
+FAMILY = HashedOracle(2.0, 64, 9, combine="mean", role="own", public_coins=False)
+
+
+@query("private_coin_estimates", FAMILY.estimate_sql(view_sql("u_planted"), ASKED.sql()))
+def private_coin_estimates(spark, d):
+    """No public randomness: users draw their hash from a fixed family and name it in the report."""
+    return _est(FAMILY.estimate(FAMILY.fit(FAMILY.reports(view(spark, d, "u_planted"))), ASKED.df(spark)))
+
+
 WORDS = HashedOracle(2.0, 5, 10, role="words")
 WORD_ITEMS = "SELECT CAST('0x' || substr(md5(w), 1, 6) AS BIGINT) AS item FROM (SELECT DISTINCT unnest(string_split(replace(text, chr(10), ' '), ' ')) AS w FROM benchmark) WHERE w <> ''"
 
@@ -350,12 +360,13 @@ def heavy_set(spark, d):
     return measure.heavy_set(view(spark, d, "u_planted"), 3000)
 
 
-BUCKET = polynomial(DUCK, "item", coefficients("bucket", 7, 8))
+BUCKETS = coefficients("bucket", 7, planner.bucket_independence(24), FIELD)
+BUCKET = polynomial(DUCK, "item", BUCKETS)
 
 
 @query("bucket_loads", f"SELECT b, count(*) AS users, count(DISTINCT item) AS items FROM (SELECT item, {BUCKET} % 4 AS b FROM ({PLANTED})) GROUP BY b")
 def bucket_loads(spark, d):
-    b = F.expr(polynomial(SPARK, "item", coefficients("bucket", 7, 8)) + " % 4")
+    b = F.expr(polynomial(SPARK, "item", BUCKETS) + " % 4")
     return view(spark, d, "u_planted").select("item", b.alias("b")).groupBy("b").agg(F.count("*").alias("users"), F.countDistinct("item").alias("items"))
 
 
@@ -616,6 +627,19 @@ def recall(spark, d):
     return measure.recall(expander_heavy_hitters(spark, d), exact_freq(spark, d), 3000)
 
 
+def _report_bits(p: planner.ExpanderPlan) -> int:
+    """Bits of a report: coordinate, row and sign; oracle group, row and sign."""
+    return max(1, (p.code.m - 1).bit_length()) + p.cell_bits + 1 + max(1, (p.oracle_rows - 1).bit_length()) + p.oracle_bits + 1
+
+
+@query("transcript_bytes", f"SELECT count(*) AS users, {_report_bits(PLAN)}::BIGINT AS bits, count(*) * {_report_bits(PLAN)} / 8.0::DOUBLE AS bytes FROM ({PLANTED})")
+def transcript_bytes(spark, d):
+    """Size of all users' reports, packed."""
+    h, users = _main(spark, d)
+    bits = F.lit(_report_bits(h.plan)).cast("long")
+    return h.reports(users).agg(F.count("*").alias("users")).select("users", bits.alias("bits"), (F.col("users") * bits / 8.0).alias("bytes"))
+
+
 @query("message_bits")
 def message_bits(spark, d):
     h, users = _main(spark, d)
@@ -994,13 +1018,35 @@ def escape_probability(spark, _):
     return spark.createDataFrame(rows, "n int, p double, beta double, length int, escape double")
 
 
-@query("binomial_tail")
+BINOMIAL = Grid(["n", "p", "t"], [(100, 0.5, 10), (400, 0.5, 20), (1000, 0.1, 15), (400, 0.25, 15)])
+_POINT = "exp(lgamma(n + 1) - lgamma(k + 1) - lgamma(n - k + 1) + k * ln(p) + (n - k) * ln(1 - p))"
+
+
+@query("binomial_tail", f"SELECT n, p, t, {_f32_sql(f'(SELECT sum({_POINT}) FROM (SELECT unnest(generate_series(0, CAST(floor(n * p - t) AS BIGINT))) AS k))')} AS exact, {_f32_sql(bounds.FORMULAS['binomial_tail_lower'])} AS bound FROM ({BINOMIAL.sql()})")
 def binomial_tail(spark, _):
+    rows = [(n, p, t, math.fsum(bounds.binomial(n, p)[: int(n * p - t) + 1]), bounds.value("binomial_tail_lower", t=t, n=n, p=p)) for n, p, t in BINOMIAL.rows]
+    return spark.createDataFrame(rows, "n long, p double, t long, exact double, bound double").withColumns({"exact": _f32(F.col("exact")), "bound": _f32(F.col("bound"))})
+
+
+@query("exchange_steps")
+def exchange_steps(spark, _):
+    """Bits with means in 1/2 +- 0.1 exchanged, step by step, for one binomial that leaves an interval no more often."""
+    steps = exchange([0.5 + 0.1 * ((7 * i) % 11 - 5) / 5 for i in range(12)], 0.1, 4, 7)
+    return spark.createDataFrame([(k, what, float(lo), float(hi), x) for k, what, lo, hi, x in steps], "step long, what string, low double, high double, outside double")
+
+
+@query("cluster_conditions")
+def cluster_conditions(spark, _):
+    """The vertices of one item with some lists missing: what they need as a spectral cluster, and what theory grants."""
     rows = []
-    for n, p, t in [(100, 0.5, 10), (400, 0.5, 20), (1000, 0.1, 15), (400, 0.25, 15)]:
-        law = bounds.binomial(n, p)
-        rows.append((n, p, t, math.fsum(law[: int(n * p - t) + 1]), bounds.value("binomial_tail_lower", t=t, n=n, p=p)))
-    return spark.createDataFrame(rows, "n int, p double, t int, exact double, bound double")
+    for preset in ("small", "medium"):
+        code = planner.plan(10**6, 1.0, preset=preset).code
+        edges, lam = [(a, b) for a in range(code.m) for b in code.near[a] if a < b], second_eigenvalue(code.near)
+        for bad in range(3):
+            leaving, cut = cluster_eta([(a, b) for a, b in edges if a >= bad], list(range(bad, code.m)))
+            alpha = bad / code.m
+            rows.append((preset, bad, leaving, cut, (alpha + lam / (4 * code.d)) / (1 - alpha)))
+    return spark.createDataFrame(rows, "preset string, bad long, leaving double, cut double, granted double")
 
 
 @query("block_privacy")
@@ -1013,10 +1059,13 @@ def block_privacy(spark, _):
     return spark.createDataFrame(rows, "eps double, copies int, exact double, bound double")
 
 
-@query("poisson_tails")
+POISSON = Grid.product(mu=[10.0, 50.0], alpha=[0.5, 1.0])
+
+
+@query("poisson_tails", f"SELECT mu, alpha, {_f32_sql('(SELECT sum(exp(-mu + k * ln(mu) - lgamma(k + 1))) FROM (SELECT unnest(generate_series(CAST(ceil(mu * (1 + alpha)) AS BIGINT), CAST(ceil(mu * (1 + alpha)) AS BIGINT) + 500)) AS k))')} AS exact, {_f32_sql(bounds.FORMULAS['poisson_tail_upper'])} AS bound, {_f32_sql(bounds.FORMULAS['poisson_tail_upper_printed'])} AS printed FROM ({POISSON.sql()})")
 def poisson_tails(spark, _):
-    rows = [(mu, a, bounds.poisson_tail(mu, math.ceil(mu * (1 + a))), bounds.value("poisson_tail_upper", mu=mu, alpha=a), bounds.value("poisson_tail_upper_printed", mu=mu, alpha=a)) for mu in (10.0, 50.0) for a in (0.5, 1.0)]
-    return spark.createDataFrame(rows, "mu double, alpha double, exact double, bound double, printed double")
+    rows = [(mu, a, bounds.poisson_tail(mu, math.ceil(mu * (1 + a))), bounds.value("poisson_tail_upper", mu=mu, alpha=a), bounds.value("poisson_tail_upper_printed", mu=mu, alpha=a)) for mu, a in POISSON.rows]
+    return spark.createDataFrame(rows, "mu double, alpha double, exact double, bound double, printed double").withColumns({c: _f32(F.col(c)) for c in ("exact", "bound", "printed")})
 
 
 # ---- applications ------------------------------------------------------------------------------------------------
