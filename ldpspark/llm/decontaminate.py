@@ -32,7 +32,7 @@ SLICE_BYTES = 16 << 20
 #: One window has 20 bytes of arrays and its word at least two of text; a text is held once more.
 INDEX_BYTES = 11
 #: Words of a document whose windows are hashed at a time.
-CHUNK = 1 << 18
+CHUNK = 1 << 16
 STEP = np.uint64(0xD1342543DE82EF95)
 WORD = re.compile(rb"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+")
 

@@ -7,7 +7,7 @@ from functools import lru_cache
 
 import numpy as np
 
-SEGMENT, BLANK = (1 << 19) - (1 << 12), re.compile(rb"[\x20\x09-\x0D]")
+SEGMENT, BLANK = (1 << 17) - (1 << 10), re.compile(rb"[\x20\x09-\x0D]")
 M1 = np.uint64(0x9E3779B97F4A7C15)
 
 
@@ -35,7 +35,7 @@ def word_hashes(raw: bytes) -> tuple[np.ndarray, np.ndarray]:
             found = BLANK.search(raw, end)
             end = found.start() if found else len(raw)
         a = np.frombuffer(raw, np.uint8, min(end, len(raw)) - at, at)
-        random, power, inverse, blank = _tables(1 << max(19, len(a).bit_length()))
+        random, power, inverse, blank = _tables(1 << max(17, len(a).bit_length()))
         inside = np.zeros(len(a) + 2, bool)
         inside[1:-1] = ~blank[a]
         first, last = np.flatnonzero(inside[1:-1] & ~inside[:-2]), np.flatnonzero(inside[1:-1] & ~inside[2:])
