@@ -9,6 +9,7 @@ from ldpspark import workloads as W
 #: name: scale factor.
 SIZES = {
     "event_group_size": "0.001",
+    "expander_cells": "0.001",
 }
 
 
