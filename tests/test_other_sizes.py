@@ -10,6 +10,7 @@ from ldpspark import workloads as W
 SIZES = {
     "event_group_size": "0.001",
     "expander_cells": "0.001",
+    "expander_heavy_hitters": "0.1",
 }
 
 
