@@ -11,6 +11,7 @@ SIZES = {
     "event_group_size": "0.001",
     "expander_cells": "0.001",
     "expander_heavy_hitters": "0.1",
+    "expander_sums": "0.001",
 }
 
 
