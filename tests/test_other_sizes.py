@@ -12,6 +12,7 @@ SIZES = {
     "expander_cells": "0.001",
     "expander_heavy_hitters": "0.1",
     "expander_sums": "0.001",
+    "failure_curve": "0.001",
 }
 
 
