@@ -13,6 +13,7 @@ SIZES = {
     "expander_heavy_hitters": "0.1",
     "expander_sums": "0.001",
     "failure_curve": "0.001",
+    "list_error": "0.1",
 }
 
 
