@@ -14,6 +14,7 @@ SIZES = {
     "expander_sums": "0.001",
     "failure_curve": "0.001",
     "list_error": "0.1",
+    "oracle_from_list": "0.1",
 }
 
 
