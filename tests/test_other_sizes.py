@@ -30,3 +30,14 @@ def test_against_sql_at_other_sizes(spark, name):
     names = list(rel.columns)
     theirs = sorted(str(tuple(plain(dict(zip(names, r, strict=True))[c]) for c in cols)) for r in rel.fetchall())
     assert theirs and sorted(str(tuple(plain(r[c]) for c in cols)) for r in df.collect()) == theirs
+
+
+def test_items_beyond_the_cells_are_answered(spark):
+    from ldpspark.operators.oracle import DirectOracle
+
+    o = DirectOracle(1.0, 4)
+    users = spark.range(400).selectExpr("id as user", "id % 50 as item")
+    ours = {r["item"]: round(r["est"], 6) for r in o.estimate(o.fit(o.reports(users)), users).collect()}
+    told = 'SELECT u AS "user", u % 50 AS item FROM (SELECT unnest(generate_series(0, 399)) AS u)'
+    theirs = dict(duckdb.sql(o.estimate_sql(told, f"SELECT DISTINCT item FROM ({told})")).fetchall())
+    assert len(ours) == 50 and ours == theirs
