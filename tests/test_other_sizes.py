@@ -15,6 +15,7 @@ SIZES = {
     "failure_curve": "0.001",
     "list_error": "0.1",
     "oracle_from_list": "0.1",
+    "partition_loads": "0.001",
 }
 
 
