@@ -16,6 +16,7 @@ SIZES = {
     "list_error": "0.1",
     "oracle_from_list": "0.1",
     "partition_loads": "0.001",
+    "post_processed": "0.1",
 }
 
 
