@@ -17,6 +17,7 @@ SIZES = {
     "oracle_from_list": "0.1",
     "partition_loads": "0.001",
     "post_processed": "0.1",
+    "transcript_bytes": "0.001",
 }
 
 
