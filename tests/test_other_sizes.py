@@ -18,6 +18,7 @@ SIZES = {
     "partition_loads": "0.001",
     "post_processed": "0.1",
     "transcript_bytes": "0.001",
+    "transcript_roundtrip": "0.001",
 }
 
 
