@@ -19,6 +19,7 @@ SIZES = {
     "post_processed": "0.1",
     "transcript_bytes": "0.001",
     "transcript_roundtrip": "0.001",
+    "scan_domain_hh": "0.1",
 }
 
 
