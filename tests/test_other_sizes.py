@@ -20,6 +20,7 @@ SIZES = {
     "transcript_bytes": "0.001",
     "transcript_roundtrip": "0.001",
     "scan_domain_hh": "0.1",
+    "server_memory": "0.001",
 }
 
 
