@@ -47,3 +47,13 @@ def test_items_beyond_the_cells_are_answered(spark):
     told = 'SELECT u AS "user", u % 50 AS item FROM (SELECT unnest(generate_series(0, 399)) AS u)'
     theirs = dict(duckdb.sql(o.estimate_sql(told, f"SELECT DISTINCT item FROM ({told})")).fetchall())
     assert len(ours) == 50 and ours == theirs
+
+
+#: Queries of the theory that take their numbers from a given table, and the tables.
+READ = {"audit_pure": "orders lineitem events"}
+
+
+@pytest.mark.parametrize("name", READ)
+def test_reads_its_tables(spark, sf, name):
+    files = {f.rsplit("/", 1)[-1] for f in W.QUERIES[name](spark, sf).inputFiles()}
+    assert files == {t + ".parquet" for t in READ[name].split()}
