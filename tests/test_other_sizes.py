@@ -50,7 +50,7 @@ def test_items_beyond_the_cells_are_answered(spark):
 
 
 #: Queries of the theory that take their numbers from a given table, and the tables.
-READ = {"audit_pure": "orders lineitem events"}
+READ = {"audit_pure": "orders lineitem events", "audit_delta": "orders lineitem events"}
 
 
 @pytest.mark.parametrize("name", READ)
