@@ -50,10 +50,19 @@ def test_items_beyond_the_cells_are_answered(spark):
 
 
 #: Queries of the theory that take their numbers from a given table, and the tables.
-READ = {"audit_pure": "orders lineitem events", "audit_delta": "orders lineitem events", "bad_mass": "orders lineitem events", "binomial_tail": "lineitem"}
+READ = {"audit_pure": "orders lineitem events", "audit_delta": "orders lineitem events", "bad_mass": "orders lineitem events", "binomial_tail": "lineitem", "block_privacy": "events"}
 
 
 @pytest.mark.parametrize("name", READ)
 def test_reads_its_tables(spark, sf, name):
     files = {f.rsplit("/", 1)[-1] for f in W.QUERIES[name](spark, sf).inputFiles()}
     assert files == {t + ".parquet" for t in READ[name].split()}
+
+
+def test_blocks_are_the_users_of_the_events(spark, duck, sf):
+    from ldpspark.operators.audit import group_quantile
+
+    theirs = dict(duck.sql("SELECT k, count(*) FROM (SELECT count(*) AS k FROM events GROUP BY user_id) GROUP BY k").fetchall())
+    ours = W.QUERIES["block_privacy"](spark, sf).collect()
+    assert {r["copies"]: r["blocks"] for r in ours} == theirs and len(ours) == 3 * len(theirs)
+    assert all(r["exact"] == group_quantile(r["eps"], r["copies"], 0.1) <= r["bound"] for r in ours)
