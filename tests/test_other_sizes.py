@@ -50,7 +50,7 @@ def test_items_beyond_the_cells_are_answered(spark):
 
 
 #: Queries of the theory that take their numbers from a given table, and the tables.
-READ = {"audit_pure": "orders lineitem events", "audit_delta": "orders lineitem events", "bad_mass": "orders lineitem events", "binomial_tail": "lineitem", "block_privacy": "events"}
+READ = {"audit_pure": "orders lineitem events", "audit_delta": "orders lineitem events", "bad_mass": "orders lineitem events", "binomial_tail": "lineitem", "block_privacy": "events", "cluster_conditions": "lineitem"}
 
 
 @pytest.mark.parametrize("name", READ)
@@ -66,3 +66,14 @@ def test_blocks_are_the_users_of_the_events(spark, duck, sf):
     ours = W.QUERIES["block_privacy"](spark, sf).collect()
     assert {r["copies"]: r["blocks"] for r in ours} == theirs and len(ours) == 3 * len(theirs)
     assert all(r["exact"] == group_quantile(r["eps"], r["copies"], 0.1) <= r["bound"] for r in ours)
+
+
+def test_clusters_are_those_of_the_parts(spark, duck, sf):
+    ours = W.QUERIES["cluster_conditions"](spark, sf).collect()
+    parts = duck.sql("SELECT count(DISTINCT l_partkey) FROM lineitem").fetchall()[0][0]
+    for preset, m in (("small", 7), ("medium", 15)):
+        rows = [r for r in ours if r["preset"] == preset]
+        assert sum(r["parts"] for r in rows) == parts and len({r["missing"] for r in rows}) == len(rows)
+        assert all(r["bad"] == r["missing"].bit_count() < m for r in rows)
+        # the whole graph loses no edge; with lists missing the volume that leaves is that of their edges
+        assert all((r["leaving"] == 0) == (r["bad"] == 0) for r in rows)
