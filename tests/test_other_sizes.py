@@ -50,7 +50,7 @@ def test_items_beyond_the_cells_are_answered(spark):
 
 
 #: Queries of the theory that take their numbers from a given table, and the tables.
-READ = {"audit_pure": "orders lineitem events", "audit_delta": "orders lineitem events", "bad_mass": "orders lineitem events", "binomial_tail": "lineitem", "block_privacy": "events", "cluster_conditions": "lineitem", "composition_budget": "events", "composition_table": "orders", "concentration_bounds": "events"}
+READ = {"audit_pure": "orders lineitem events", "audit_delta": "orders lineitem events", "bad_mass": "orders lineitem events", "binomial_tail": "lineitem", "block_privacy": "events", "cluster_conditions": "lineitem", "composition_budget": "events", "composition_table": "orders", "concentration_bounds": "events", "cost_table": "lineitem"}
 
 
 @pytest.mark.parametrize("name", READ)
