@@ -50,7 +50,7 @@ def test_items_beyond_the_cells_are_answered(spark):
 
 
 #: Queries of the theory that take their numbers from a given table, and the tables.
-READ = {"audit_pure": "orders lineitem events", "audit_delta": "orders lineitem events", "bad_mass": "orders lineitem events", "binomial_tail": "lineitem", "block_privacy": "events", "cluster_conditions": "lineitem", "composition_budget": "events", "composition_table": "orders", "concentration_bounds": "events", "cost_table": "lineitem"}
+READ = {"audit_pure": "orders lineitem events", "audit_delta": "orders lineitem events", "bad_mass": "orders lineitem events", "binomial_tail": "lineitem", "block_privacy": "events", "cluster_conditions": "lineitem", "composition_budget": "events", "composition_table": "orders", "concentration_bounds": "events", "cost_table": "lineitem", "escape_probability": "events"}
 
 
 @pytest.mark.parametrize("name", READ)
@@ -77,3 +77,14 @@ def test_clusters_are_those_of_the_parts(spark, duck, sf):
         assert all(r["bad"] == r["missing"].bit_count() < m for r in rows)
         # the whole graph loses no edge; with lists missing the volume that leaves is that of their edges
         assert all((r["leaving"] == 0) == (r["bad"] == 0) for r in rows)
+
+
+def test_escapes_are_those_of_the_users_bits(spark, duck, sf):
+    from ldpspark.operators.randomizers import BitFlip
+    from ldpspark.plans import bounds
+
+    p, ours = BitFlip(0.5).keep, W.QUERIES["escape_probability"](spark, sf).collect()
+    theirs = duck.sql("SELECT n, ones, count(*) FROM (SELECT count(*) AS n, count(*) FILTER (event_type = 'purchase') AS ones FROM events GROUP BY user_id) GROUP BY n, ones").fetchall()
+    assert sorted((r["n"], r["ones"], r["users"]) for r in ours if r["beta"] == 0.1) == sorted(theirs)
+    for r in ours[:40]:
+        assert r["escape"] == pytest.approx(bounds.escape_exact([p] * r["ones"] + [1 - p] * (r["n"] - r["ones"]), r["length"]), abs=1e-9)
