@@ -50,7 +50,7 @@ def test_items_beyond_the_cells_are_answered(spark):
 
 
 #: Queries of the theory that take their numbers from a given table, and the tables.
-READ = {"audit_pure": "orders lineitem events", "audit_delta": "orders lineitem events", "bad_mass": "orders lineitem events", "binomial_tail": "lineitem", "block_privacy": "events", "cluster_conditions": "lineitem", "composition_budget": "events", "composition_table": "orders", "concentration_bounds": "events", "cost_table": "lineitem", "escape_probability": "events"}
+READ = {"audit_pure": "orders lineitem events", "audit_delta": "orders lineitem events", "bad_mass": "orders lineitem events", "binomial_tail": "lineitem", "block_privacy": "events", "cluster_conditions": "lineitem", "composition_budget": "events", "composition_table": "orders", "concentration_bounds": "events", "cost_table": "lineitem", "escape_probability": "events", "exchange_steps": "lineitem"}
 
 
 @pytest.mark.parametrize("name", READ)
@@ -88,3 +88,12 @@ def test_escapes_are_those_of_the_users_bits(spark, duck, sf):
     assert sorted((r["n"], r["ones"], r["users"]) for r in ours if r["beta"] == 0.1) == sorted(theirs)
     for r in ours[:40]:
         assert r["escape"] == pytest.approx(bounds.escape_exact([p] * r["ones"] + [1 - p] * (r["n"] - r["ones"]), r["length"]), abs=1e-9)
+
+
+def test_exchange_starts_from_the_months(spark, duck, sf):
+    from ldpspark.operators.hard import outside
+
+    ps = [r[0] for r in duck.sql("SELECT count(*) FILTER (l_quantity > 25) / count(*) FROM lineitem GROUP BY month(l_shipdate) ORDER BY month(l_shipdate)").fetchall()]
+    rows = sorted(W.QUERIES["exchange_steps"](spark, sf).collect(), key=lambda r: r["step"])
+    assert len(ps) == 12 and rows[0]["outside"] == pytest.approx(outside(ps, 4, 7))
+    assert all(b["outside"] <= a["outside"] + 1e-12 for a, b in zip(rows, rows[1:]))
