@@ -97,3 +97,8 @@ def test_exchange_starts_from_the_months(spark, duck, sf):
     rows = sorted(W.QUERIES["exchange_steps"](spark, sf).collect(), key=lambda r: r["step"])
     assert len(ps) == 12 and rows[0]["outside"] == pytest.approx(outside(ps, 4, 7))
     assert all(b["outside"] <= a["outside"] + 1e-12 for a, b in zip(rows, rows[1:]))
+
+
+def test_exchange_of_no_lines(spark, sf, tmp_path):
+    spark.read.parquet(f"{sf}/lineitem.parquet").limit(0).write.parquet(str(tmp_path / "lineitem.parquet"))
+    assert [r["outside"] for r in W.QUERIES["exchange_steps"](spark, str(tmp_path)).collect()] == [1.0]
