@@ -64,6 +64,15 @@ def test_listed_estimates_round_as_those_of_the_sql(spark, monkeypatch, total):
     assert W.QUERIES["oracle_from_list"](spark, "").filter("item = 11").first()["est"] == dict(theirs)[11]
 
 
+@pytest.mark.parametrize("est, f", [(143974.319055, 143129), (812932.971135, 810635), (1298874.199945, 1301721)])
+def test_list_error_rounds_as_its_sql(spark, monkeypatch, est, f):
+    monkeypatch.setattr(W, "expander_heavy_hitters", lambda spark, d: spark.createDataFrame([(11, est)], "item long, est double"))
+    monkeypatch.setattr(W, "exact_freq", lambda spark, d: spark.createDataFrame([(11, f), (7, 3)], "item long, f long"))
+    sql = W.ORACLES["list_error"].replace(W.ANSWER_SQL, f"SELECT 11 AS item, {est}::DOUBLE AS est")
+    theirs = duckdb.sql(sql.replace(W.TRUTH_SQL, f"SELECT * FROM (VALUES (11, {f}), (7, 3)) AS t(item, f)")).fetchall()
+    assert [tuple(r) for r in W.QUERIES["list_error"](spark, "").collect()] == theirs
+
+
 #: Queries of the theory that take their numbers from a given table, and the tables.
 READ = {"audit_pure": "orders lineitem events", "audit_delta": "orders lineitem events", "bad_mass": "orders lineitem events", "binomial_tail": "lineitem", "block_privacy": "events", "cluster_conditions": "lineitem", "composition_budget": "events", "composition_table": "orders", "concentration_bounds": "events", "cost_table": "lineitem", "escape_probability": "events", "exchange_steps": "lineitem"}
 
